@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from ebbset.llm import jaccard, packing, tokenfile
+from ebbset.llm import jaccard, packing, pii, tokenfile
 from ebbset.llm._spark import documents
 
 
@@ -22,10 +22,15 @@ def op9_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tokenfile.round_trip(documents(spark, sf_dir))
 
 
+def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.digest(documents(spark, sf_dir))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op5_jaccard_join": op5_jaccard_join,
     "op7_packing": op7_packing,
     "op9_token_files": op9_token_files,
+    "op10_pii": op10_pii,
 }
 
 ORACLE: dict[str, str] = {}
