@@ -258,15 +258,18 @@ def _counted(batches, width: int):
             yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(sizes, pa.int64())], ["doc_id", "n_shingles"])
 
 
+def _region_stars(docs: DataFrame, measure: Measure) -> DataFrame:
+    keys = docs.where("text is not null").mapInArrow(partial(_emit, measure=measure), "key long, doc_id long")
+    return written(keys.repartition("key").sortWithinPartitions("key", "doc_id").mapInArrow(_stars, "a long, b long").distinct(), "region-stars")
+
+
 def near_copies(docs: DataFrame, measure: Measure) -> DataFrame:
     """(node, component) for each document that may link with another; all others stand alone.
 
     Ids must be whole numbers. A component holds what links connect, directly or through others.
     """
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where("doc_id is not null")
-    keys = docs.where("text is not null").mapInArrow(partial(_emit, measure=measure), "key long, doc_id long")
-    stars = written(keys.repartition("key").sortWithinPartitions("key", "doc_id").mapInArrow(_stars, "a long, b long").distinct(), "region-stars")
-    region = written(components(stars), "regions")
+    region = written(components(_region_stars(docs, measure)), "regions")
     held = docs.join(region, docs.doc_id == region.node).select(F.col("component").alias("region"), "doc_id", "text")
     held = held.withColumn("weight", F.octet_length("text"))
     size = (
