@@ -6,10 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from ebbset.llm import jaccard, packing, pii, tokenfile
+from ebbset.llm import jaccard, packing, pii, suffix, tokenfile
 from ebbset.llm._spark import documents
 
 
+def op4_suffix_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix.digest(documents(spark, sf_dir))
+
+
 def op5_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard.jaccard_components(documents(spark, sf_dir), jaccard.Measure(width=4, low=85, high=100))
 
@@ -27,6 +31,7 @@ def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op4_suffix_windows": op4_suffix_windows,
     "op5_jaccard_join": op5_jaccard_join,
     "op7_packing": op7_packing,
     "op9_token_files": op9_token_files,
