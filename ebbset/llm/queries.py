@@ -6,10 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from ebbset.llm import jaccard, packing, pii, suffix, tokenfile
+from ebbset.llm import chaining, jaccard, packing, pii, suffix, tokenfile
 from ebbset.llm._spark import documents
 
 
+def op1_chained_passages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return chaining.passages(documents(spark, sf_dir))
+
+
 def op4_suffix_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffix.digest(documents(spark, sf_dir))
 
@@ -31,6 +35,7 @@ def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_chained_passages": op1_chained_passages,
     "op4_suffix_windows": op4_suffix_windows,
     "op5_jaccard_join": op5_jaccard_join,
     "op7_packing": op7_packing,
