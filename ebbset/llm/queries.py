@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from ebbset.llm import chaining, fingerprint, jaccard, packing, pii, suffix, tokenfile
+from ebbset.llm import chaining, fingerprint, jaccard, langid, packing, pii, suffix, tokenfile
 from ebbset.llm._spark import documents
 
 
@@ -14,6 +14,10 @@ def op1_chained_passages(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chaining.passages(documents(spark, sf_dir))
 
 
+def op2_partial_matching(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return langid.digest(documents(spark, sf_dir))
+
+
 def op3_bottom_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprint.neighbours(documents(spark, sf_dir))
 
@@ -40,6 +44,7 @@ def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_chained_passages": op1_chained_passages,
+    "op2_partial_matching": op2_partial_matching,
     "op3_bottom_k": op3_bottom_k,
     "op4_suffix_windows": op4_suffix_windows,
     "op5_jaccard_join": op5_jaccard_join,
