@@ -5,9 +5,12 @@ from __future__ import annotations
 import gc
 import tempfile
 import uuid
+from collections.abc import Callable
+from functools import partial
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 
 def shared_folder(spark: SparkSession) -> str:
@@ -26,12 +29,19 @@ def new_path(spark: SparkSession, name: str) -> str:
     return f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
 
 
-def written(df: DataFrame, name: str) -> DataFrame:
-    """The rows as a table written to the shared folder: cuts the lineage and outlives executors."""
-    path = new_path(df.sparkSession, name)
-    df.write.parquet(path)
-    spark, schema = df.sparkSession, df.schema
-    del df
+def written(build: Callable[[], DataFrame], name: str) -> DataFrame:
+    """The rows of build() as a table written to the shared folder: cuts the lineage and outlives executors.
+
+    What build() makes is referred to by nothing afterwards, so its shuffle files can go at once.
+    """
+
+    def run() -> tuple[SparkSession, StructType, str]:
+        df = build()
+        path = new_path(df.sparkSession, name)
+        df.write.parquet(path)
+        return df.sparkSession, df.schema, path
+
+    spark, schema, path = run()
     release(spark)
     return spark.read.schema(schema).parquet(path)
 
@@ -46,26 +56,27 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
-def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
-    """(node, component) for every node of the edges (a, b): the smallest node reachable.
+def _round(now: DataFrame) -> DataFrame:
+    both = now.union(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
+    low = both.groupBy("a").agg(F.least("a", F.min("b")).alias("m"))
+    large = both.where("b > a").join(low, "a").select(F.col("m").alias("a"), "b").where("a < b").distinct()
+    low = large.groupBy("b").agg(F.min("a").alias("m"))
+    return large.join(low, "b").select(F.col("m").alias("a"), F.explode(F.array("a", "b")).alias("b")).where("a < b").distinct()
+
+
+def components(links: Callable[[], DataFrame], most_rounds: int = 60) -> DataFrame:
+    """(node, component) for every node of the links (a, b): the smallest node reachable.
 
     Stars alternate: each node hands its larger neighbours to the smallest node next to it, then keeps only links to
     smaller ones. Hubs are reduced by partial minima before any shuffle; each round is written to the shared folder.
     Self links are kept as nodes of their own. Ends when a round changes nothing; raises after most_rounds.
     """
-    e = written(edges.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "links")
+    e = written(lambda: links().select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "links")
     nodes = e.select(F.col("a").alias("node")).union(e.select(F.col("b").alias("node"))).distinct()
     now = e.where("a < b")
     seen = None
     for _ in range(most_rounds):
-        both = now.union(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        low = both.groupBy("a").agg(F.least("a", F.min("b")).alias("m"))
-        large = both.where("b > a").join(low, "a").select(F.col("m").alias("a"), "b").where("a < b").distinct()
-        low = large.groupBy("b").agg(F.min("a").alias("m"))
-        now = written(
-            large.join(low, "b").select(F.col("m").alias("a"), F.explode(F.array("a", "b")).alias("b")).where("a < b").distinct(),
-            "stars",
-        )
+        now = written(partial(_round, now), "stars")
         state = now.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
         if seen == state:
             break

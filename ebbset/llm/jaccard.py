@@ -5,8 +5,9 @@ a corpus are 1, so document pivots alone would leave one far region that holds a
 therefore uses pivots in restricted universes: shingles are dealt into as many classes as a linked pair can differ in
 plus some, so a linked pair agrees wholly in at least one class. Each distinct restricted set is the pivot of a
 Voronoi region of radius 0, and a triangle-inequality window on size (the distance to the empty set) also replicates a
-document into the next size class where a partner could lie there. Regions that share documents are merged, then
-joined recursively and exactly: two far-apart documents become pivots, each document goes to the nearer one, and those
+document into the next size class where a partner could lie there. In each region, documents whose shingle counts by
+class are too far apart in L1 to link are parted, again by pivots. Regions that share documents are merged, then joined
+recursively and exactly: two far-apart documents become pivots, each document goes to the nearer one, and those
 within twice the threshold of the boundary go to both sides.
 
 Defined results: null and empty texts have no shingles and link with nothing; repeated rows of one doc_id act as one
@@ -16,6 +17,7 @@ the input are ignored.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from dataclasses import dataclass
 from functools import partial
@@ -26,12 +28,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ebbset.llm._spark import components, written
-from ebbset.llm._text import U, mix, pieces, runs, shingle_sets, signed
+from ebbset.llm._text import U, bytes_of, mix, pieces, runs, shingle_sets, signed
 
 #: A region joins in one task up to so many bytes of text and documents; beyond, block by block.
 BLOCK_BYTES, BLOCK_ROWS = 4 << 20, 2048
 #: From so many sets on a region is split by pivots.
 LEAF = 192
+#: Classes whose shingle counts a summary keeps.
+COUNTERS = 128
 
 
 @dataclass(frozen=True)
@@ -51,18 +55,24 @@ class Measure:
                 return number, lo, up
             lo, number = up + 1, number + 1
 
-    def classes(self, lo: int, up: int) -> tuple[int, int]:
-        """How many classes the shingles of a size class are dealt into, and how many empty ones are expected at most."""
+    def classes(self, lo: int, up: int) -> tuple[int, int, int]:
+        """How many classes the shingles of a size class are dealt into, how few make a class thin, and how many thin
+        classes a set may leave out: a linked pair agrees in one class more than that at least."""
         differ = 2 * up * (self.high - self.low) // (self.high + self.low)
+        if not differ:
+            return 1, 1, 0
+        thin = 1 + (lo >= 20)
         spare = 0
-        for _ in range(4):
+        for _ in range(8):
             m = differ + 1 + spare
-            mean = m * (1 - 1 / m) ** (lo * self.low / self.high) if m > 1 else 0
-            spare = int(np.ceil(mean + 4 * np.sqrt(mean))) if mean > 0.01 else 0
-        return differ + 1 + spare, spare
-
-    def reaches(self, n: int) -> list[tuple[int, int, int]]:
-        """(number, classes, spare) of the size classes that hold n or its larger partners."""
+            mean = 0.5 * (lo + up) / m
+            share = math.exp(-mean) * (1 + mean if thin > 1 else 1)
+            spare = math.ceil(m * share + math.sqrt(m * share))
+        m = differ + 1 + spare
+        return m, thin, spare
+
+    def reaches(self, n: int) -> list[tuple[int, int, int, int]]:
+        """(number, classes, thin, spare) of the size classes that hold n or its larger partners."""
         number, lo, up = self.size_class(n)
         out = [(number, *self.classes(lo, up))]
         if self.high * n >= self.low * (up + 1):
@@ -83,14 +93,14 @@ def region_keys(sets: list[np.ndarray], measure: Measure, plans: dict[int, list]
         if n not in plans:
             plans[n] = measure.reaches(n)
         deal, value = mix(own, 1) >> U(20), mix(own, 2)
-        for number, m, spare in plans[n]:
+        for number, m, thin, spare in plans[n]:
             if m == 1:
                 yield row, mix(np.array([value.sum(dtype=np.uint64)]) + U(number * 977))
                 continue
             place = (deal % U(m)).astype(np.int64)
             total = np.zeros(m, np.uint64)
             np.add.at(total, place, value)
-            used = np.bincount(place, minlength=m) > 0
+            used = np.bincount(place, minlength=m) >= thin
             keys = mix(mix(total) + np.arange(m, dtype=np.uint64) + U(number << 32))
             yield row, keys if m - used.sum() > spare else keys[used]
 
@@ -119,23 +129,70 @@ def _emit(batches, measure: Measure):
             yield pa.RecordBatch.from_arrays([signed(key), pa.array(ids[row])], ["key", "doc_id"])
 
 
-def _stars(batches):
-    """A link from each document of a region to its first one."""
-    last_key = last_doc = None
+def _shared(batches):
+    """Rows of keys that two documents at least have; batches are sorted by key, then doc_id."""
+    for table in runs(batches, ["key"]):
+        key, doc = np.asarray(table.column("key")), np.asarray(table.column("doc_id"))
+        first = np.ones(len(key), bool)
+        first[1:] = key[1:] != key[:-1]
+        at = np.flatnonzero(first)
+        end = np.append(at[1:], len(key)) - 1
+        keep = np.repeat(doc[at] != doc[end], end - at + 1)
+        if keep.any():
+            yield pa.RecordBatch.from_arrays([pa.array(key[keep]), pa.array(doc[keep])], ["key", "doc_id"])
+
+
+def _summary(batches, width: int):
+    """Set size and the number of shingles in each of COUNTERS classes, at most 255."""
     for batch in batches:
-        if not len(batch):
-            continue
-        key, doc = np.asarray(batch.column(0)), np.asarray(batch.column(1))
+        for part in pieces(batch):
+            sets = shingle_sets(part.column("text"), width)
+            counts = np.zeros((len(sets), COUNTERS), np.uint8)
+            for row, own in enumerate(sets):
+                counts[row] = np.minimum(np.bincount((mix(own, 5) % U(COUNTERS)).astype(np.int64), minlength=COUNTERS), 255)
+            joint = pa.Array.from_buffers(pa.binary(COUNTERS), len(sets), [None, pa.py_buffer(counts.tobytes())]).cast(pa.binary())
+            yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array([len(s) for s in sets], pa.int64()), joint], ["doc_id", "n_shingles", "counts"])
+
+
+def _may_link(counts: np.ndarray, size: np.ndarray, a: np.ndarray, b: np.ndarray, measure: Measure) -> np.ndarray:
+    """Whether sets may link: counts that differ by more than linked sets of these sizes can rule it out."""
+    apart = np.abs(counts[a].astype(np.int16) - counts[b]).sum(axis=1, dtype=np.int64)
+    return apart * (measure.high + measure.low) <= (measure.high - measure.low) * (size[a] + size[b])
+
+
+def _region_links(batches, measure: Measure):
+    """Links that connect, in each region, whatever documents may link in it; batches are sorted by key.
+
+    In the L1 space of class counts the first document is the pivot; each one that may not link with an earlier pivot
+    becomes a pivot in turn and is held against all others.
+    """
+    for table in runs(batches, ["key"]):
+        key, doc, size = (np.asarray(table.column(c)) for c in ("key", "doc_id", "n_shingles"))
+        counts = np.frombuffer(bytes_of(table.column("counts").combine_chunks())[0], np.uint8).reshape(len(key), COUNTERS)
         first = np.ones(len(key), bool)
         first[1:] = key[1:] != key[:-1]
-        first[0] = last_key is None or key[0] != last_key
-        at = np.maximum.accumulate(np.where(first, np.arange(len(key)), -1))
-        head = np.where(at >= 0, doc[np.maximum(at, 0)], last_doc if last_doc is not None else 0)
-        last_key, last_doc = key[-1], head[-1]
-        other = head != doc
-        pairs = np.unique(np.stack([head[other], doc[other]], axis=1), axis=0)
-        if len(pairs):
-            yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], ["a", "b"])
+        at = np.flatnonzero(first)
+        end = np.append(at[1:], len(key))
+        head = np.repeat(at, end - at)
+        own = np.arange(len(key))
+        near = np.concatenate([_may_link(counts, size, head[i : i + 65536], own[i : i + 65536], measure) for i in range(0, len(key), 65536)])
+        pairs = [np.stack([doc[head[near]], doc[own[near]]], axis=1)]
+        alone = np.add.reduceat(~near, at)
+        for lo, hi in zip(at[alone > 0].tolist(), end[alone > 0].tolist(), strict=True):
+            if hi - lo < 3:
+                continue
+            left, every = np.flatnonzero(~near[lo:hi]) + lo, own[lo:hi]
+            done = near[lo:hi].copy()
+            for pivot in left:
+                if done[pivot - lo]:
+                    continue
+                hit = np.concatenate([_may_link(counts, size, np.full(len(e), pivot), e, measure) for e in np.array_split(every, -(-len(every) // 65536))])
+                done |= hit
+                pairs.append(np.stack([np.full(int(hit.sum()), doc[pivot]), doc[every[hit]]], axis=1))
+        found = np.concatenate(pairs)
+        found = np.unique(found[found[:, 0] != found[:, 1]], axis=0)
+        if len(found):
+            yield pa.RecordBatch.from_arrays([pa.array(found[:, 0]), pa.array(found[:, 1])], ["a", "b"])
 
 
 class _Forest:
@@ -251,50 +308,51 @@ def _join_regions(batches, measure: Measure):
             yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], ["a", "b"])
 
 
-def _counted(batches, width: int):
-    for batch in batches:
-        for part in pieces(batch):
-            sizes = [len(s) for s in shingle_sets(part.column("text"), width)]
-            yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(sizes, pa.int64())], ["doc_id", "n_shingles"])
+def summaries(docs: DataFrame, measure: Measure) -> DataFrame:
+    """doc_id, n_shingles and class counts of every row with an id."""
+    return _plain(docs).mapInArrow(partial(_summary, width=measure.width), "doc_id long, n_shingles long, counts binary")
+
+
+def _plain(docs: DataFrame) -> DataFrame:
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where("doc_id is not null")
 
 
-def _region_stars(docs: DataFrame, measure: Measure) -> DataFrame:
+def _shared_keys(docs: DataFrame, measure: Measure) -> DataFrame:
     keys = docs.where("text is not null").mapInArrow(partial(_emit, measure=measure), "key long, doc_id long")
-    return written(keys.repartition("key").sortWithinPartitions("key", "doc_id").mapInArrow(_stars, "a long, b long").distinct(), "region-stars")
+    return keys.repartition("key").sortWithinPartitions("key", "doc_id").mapInArrow(_shared, "key long, doc_id long")
 
 
-def near_copies(docs: DataFrame, measure: Measure) -> DataFrame:
+def near_copies(docs: DataFrame, measure: Measure, held: DataFrame | None = None) -> DataFrame:
     """(node, component) for each document that may link with another; all others stand alone.
 
-    Ids must be whole numbers. A component holds what links connect, directly or through others.
+    Ids must be whole numbers. A component holds what links connect, directly or through others. held: the documents'
+    summaries, if written already.
     """
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where("doc_id is not null")
-    region = written(components(_region_stars(docs, measure)), "regions")
-    held = docs.join(region, docs.doc_id == region.node).select(F.col("component").alias("region"), "doc_id", "text")
-    held = held.withColumn("weight", F.octet_length("text"))
-    size = (
-        docs.select("doc_id", F.octet_length("text").alias("weight")).join(region, F.col("doc_id") == F.col("node"))
-        .groupBy(F.col("component").alias("region"))
-        .agg(F.greatest(F.ceil(F.sum("weight") / BLOCK_BYTES), F.ceil(F.count("*") / BLOCK_ROWS), F.lit(1)).cast("int").alias("blocks"))
-    )
-    many = size.where("blocks > 1")
+    docs = _plain(docs)
+    held = held if held is not None else written(lambda: summaries(docs, measure), "summaries")
+    shared = written(lambda: _shared_keys(docs, measure), "region-keys")
+    joined = lambda: shared.join(held, "doc_id").repartition("key").sortWithinPartitions("key", "doc_id")
+    region = written(lambda: components(lambda: joined().mapInArrow(partial(_region_links, measure=measure), "a long, b long")), "regions")
+    return components(lambda: _joined(docs, region, measure))
+
+
+def _joined(docs: DataFrame, region: DataFrame, measure: Measure) -> DataFrame:
+    """Links that connect the documents of each region exactly; a large region is joined block by block."""
+    weight = docs.select("doc_id", F.coalesce(F.octet_length("text"), F.lit(0)).alias("weight")).join(region, F.col("doc_id") == F.col("node"))
+    blocks = F.greatest(F.ceil(F.sum("weight") / BLOCK_BYTES), F.ceil(F.count("*") / BLOCK_ROWS)).cast("int")
+    large = weight.groupBy("component").agg(blocks.alias("blocks")).where("blocks > 1")
+    dealt = weight.join(large, "component", "left").select("doc_id", F.col("component").alias("region"), F.coalesce("blocks", F.lit(1)).alias("blocks")).distinct()
     own = F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int")
-    held = held.join(many, "region", "left").withColumn("blocks", F.coalesce("blocks", F.lit(1))).withColumn("own", own)
-    held = held.withColumn("other", F.explode(F.expr("sequence(0, blocks - 1)")))
-    dealt = held.select("region", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "doc_id", "text")
-    links = (
-        dealt.repartition("region", "i", "j").sortWithinPartitions("region", "i", "j", "doc_id")
-        .mapInArrow(partial(_join_regions, measure=measure), "a long, b long").distinct()
-    )
-    return components(links)
+    rows = docs.join(dealt, "doc_id").withColumn("own", own).withColumn("other", F.explode(F.expr("sequence(0, blocks - 1)")))
+    rows = rows.select("region", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "doc_id", "text")
+    return rows.repartition("region", "i", "j").sortWithinPartitions("region", "i", "j", "doc_id").mapInArrow(partial(_join_regions, measure=measure), "a long, b long")
 
 
 def jaccard_components(docs: DataFrame, measure: Measure) -> DataFrame:
     """doc_id, n_shingles, component_id of every row (component_id: the smallest doc_id reachable by links)."""
-    found = near_copies(docs, measure)
-    plain = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    counted = plain.mapInArrow(partial(_counted, width=measure.width), "doc_id long, n_shingles long")
-    return counted.join(found, F.col("doc_id") == F.col("node"), "left").select("doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"))
+    held = written(lambda: summaries(docs, measure), "summaries")
+    found = near_copies(docs, measure, held)
+    return held.join(found, F.col("doc_id") == F.col("node"), "left").select("doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"))
 
 
 def keep_first(docs: DataFrame, measure: Measure) -> DataFrame:
