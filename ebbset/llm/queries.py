@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from ebbset.llm import chaining, fingerprint, jaccard, langid, packing, pii, suffix, tokenfile
+from ebbset.llm import bpe, chaining, fingerprint, jaccard, langid, packing, pii, suffix, tokenfile
 from ebbset.llm._spark import documents
 
 
@@ -30,6 +30,10 @@ def op5_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard.jaccard_components(documents(spark, sf_dir), jaccard.Measure(width=4, low=85, high=100))
 
 
+def op6_bpe_folds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return bpe.digest(documents(spark, sf_dir))
+
+
 def op7_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(documents(spark, sf_dir))
 
@@ -48,6 +52,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_bottom_k": op3_bottom_k,
     "op4_suffix_windows": op4_suffix_windows,
     "op5_jaccard_join": op5_jaccard_join,
+    "op6_bpe_folds": op6_bpe_folds,
     "op7_packing": op7_packing,
     "op9_token_files": op9_token_files,
     "op10_pii": op10_pii,
