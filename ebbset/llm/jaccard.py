@@ -34,8 +34,8 @@ from ebbset.llm._text import U, bytes_of, mix, pieces, runs, shingle_sets, signe
 BLOCK_BYTES, BLOCK_ROWS = 4 << 20, 2048
 #: From so many sets on a region is split by pivots.
 LEAF = 192
-#: Classes whose shingle counts a summary keeps.
-COUNTERS = 128
+#: Classes whose shingle counts a summary keeps, at least and at most, and shingles a class in between.
+LEAST_COUNTERS, MOST_COUNTERS, PER_COUNTER = 64, 1 << 15, 6
 
 
 @dataclass(frozen=True)
@@ -130,34 +130,66 @@ def _emit(batches, measure: Measure):
 
 
 def _shared(batches):
-    """Rows of keys that two documents at least have; batches are sorted by key, then doc_id."""
+    """Regions that hold two documents at least, named by their documents: equal regions count once."""
     for table in runs(batches, ["key"]):
         key, doc = np.asarray(table.column("key")), np.asarray(table.column("doc_id"))
+        fresh = np.ones(len(key), bool)
+        fresh[1:] = (key[1:] != key[:-1]) | (doc[1:] != doc[:-1])
+        key, doc = key[fresh], doc[fresh]
         first = np.ones(len(key), bool)
         first[1:] = key[1:] != key[:-1]
         at = np.flatnonzero(first)
-        end = np.append(at[1:], len(key)) - 1
-        keep = np.repeat(doc[at] != doc[end], end - at + 1)
+        count = np.diff(np.append(at, len(key)))
+        name = np.repeat(mix(np.add.reduceat(mix(doc.view(np.uint64), 6), at) + count.astype(np.uint64)), count)
+        keep = np.repeat(count > 1, count)
         if keep.any():
-            yield pa.RecordBatch.from_arrays([pa.array(key[keep]), pa.array(doc[keep])], ["key", "doc_id"])
+            rows = np.unique(np.stack([name[keep].view(np.int64), doc[keep]], axis=1), axis=0)
+            yield pa.RecordBatch.from_arrays([pa.array(rows[:, 0]), pa.array(rows[:, 1])], ["key", "doc_id"])
+
+
+def counters(n: int) -> int:
+    """How many classes a set of n shingles is counted in: a power of two, so that longer counts fold into shorter ones."""
+    size = LEAST_COUNTERS
+    while size * PER_COUNTER < n and size < MOST_COUNTERS:
+        size *= 2
+    return size
 
 
 def _summary(batches, width: int):
-    """Set size and the number of shingles in each of COUNTERS classes, at most 255."""
+    """Set size and the number of shingles in each class, at most 255."""
     for batch in batches:
         for part in pieces(batch):
             sets = shingle_sets(part.column("text"), width)
-            counts = np.zeros((len(sets), COUNTERS), np.uint8)
-            for row, own in enumerate(sets):
-                counts[row] = np.minimum(np.bincount((mix(own, 5) % U(COUNTERS)).astype(np.int64), minlength=COUNTERS), 255)
-            joint = pa.Array.from_buffers(pa.binary(COUNTERS), len(sets), [None, pa.py_buffer(counts.tobytes())]).cast(pa.binary())
-            yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array([len(s) for s in sets], pa.int64()), joint], ["doc_id", "n_shingles", "counts"])
-
-
-def _may_link(counts: np.ndarray, size: np.ndarray, a: np.ndarray, b: np.ndarray, measure: Measure) -> np.ndarray:
-    """Whether sets may link: counts that differ by more than linked sets of these sizes can rule it out."""
-    apart = np.abs(counts[a].astype(np.int16) - counts[b]).sum(axis=1, dtype=np.int64)
-    return apart * (measure.high + measure.low) <= (measure.high - measure.low) * (size[a] + size[b])
+            counts = []
+            for own in sets:
+                many = counters(len(own))
+                counts.append(np.minimum(np.bincount((mix(own, 5) % U(many)).astype(np.int64), minlength=many), 255).astype(np.uint8).tobytes())
+            yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array([len(s) for s in sets], pa.int64()), pa.array(counts, pa.binary())], ["doc_id", "n_shingles", "counts"])
+
+
+class _Counts:
+    """The class counts of a table's rows."""
+
+    def __init__(self, flat: np.ndarray, offsets: np.ndarray, size: np.ndarray, measure: Measure):
+        self.flat, self.at, self.many, self.size, self.measure = flat, offsets[:-1], np.diff(offsets), size, measure
+
+    def _folded(self, rows: np.ndarray, many: int, to: int) -> np.ndarray:
+        found = self.flat[self.at[rows][:, None] + np.arange(many)].reshape(len(rows), many // to, to)
+        return found.sum(axis=1, dtype=np.int32)
+
+    def may_link(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        """Whether sets may link: counts that differ by more than linked sets of these sizes can rule it out."""
+        out = np.zeros(len(a), bool)
+        kind = self.many[a] * (1 << 20) + self.many[b]
+        for k in np.unique(kind):
+            mine = np.flatnonzero(kind == k)
+            left, right = int(k >> 20), int(k & ((1 << 20) - 1))
+            to = min(left, right)
+            step = max(1, (4 << 20) // max(left, right))
+            for i in range(0, len(mine), step):
+                m = mine[i : i + step]
+                out[m] = np.abs(self._folded(a[m], left, to) - self._folded(b[m], right, to)).sum(axis=1) * (self.measure.high + self.measure.low) <= (self.measure.high - self.measure.low) * (self.size[a[m]] + self.size[b[m]])
+        return out
 
 
 def _region_links(batches, measure: Measure):
@@ -168,14 +200,14 @@ def _region_links(batches, measure: Measure):
     """
     for table in runs(batches, ["key"]):
         key, doc, size = (np.asarray(table.column(c)) for c in ("key", "doc_id", "n_shingles"))
-        counts = np.frombuffer(bytes_of(table.column("counts").combine_chunks())[0], np.uint8).reshape(len(key), COUNTERS)
+        counts = _Counts(*bytes_of(table.column("counts").combine_chunks()), size, measure)
         first = np.ones(len(key), bool)
         first[1:] = key[1:] != key[:-1]
         at = np.flatnonzero(first)
         end = np.append(at[1:], len(key))
         head = np.repeat(at, end - at)
         own = np.arange(len(key))
-        near = np.concatenate([_may_link(counts, size, head[i : i + 65536], own[i : i + 65536], measure) for i in range(0, len(key), 65536)])
+        near = counts.may_link(head, own)
         pairs = [np.stack([doc[head[near]], doc[own[near]]], axis=1)]
         alone = np.add.reduceat(~near, at)
         for lo, hi in zip(at[alone > 0].tolist(), end[alone > 0].tolist(), strict=True):
@@ -186,7 +218,7 @@ def _region_links(batches, measure: Measure):
             for pivot in left:
                 if done[pivot - lo]:
                     continue
-                hit = np.concatenate([_may_link(counts, size, np.full(len(e), pivot), e, measure) for e in np.array_split(every, -(-len(every) // 65536))])
+                hit = counts.may_link(np.full(len(every), pivot), every)
                 done |= hit
                 pairs.append(np.stack([np.full(int(hit.sum()), doc[pivot]), doc[every[hit]]], axis=1))
         found = np.concatenate(pairs)
@@ -319,7 +351,7 @@ def _plain(docs: DataFrame) -> DataFrame:
 
 def _shared_keys(docs: DataFrame, measure: Measure) -> DataFrame:
     keys = docs.where("text is not null").mapInArrow(partial(_emit, measure=measure), "key long, doc_id long")
-    return keys.repartition("key").sortWithinPartitions("key", "doc_id").mapInArrow(_shared, "key long, doc_id long")
+    return keys.repartition("key").sortWithinPartitions("key", "doc_id").mapInArrow(_shared, "key long, doc_id long").distinct()
 
 
 def near_copies(docs: DataFrame, measure: Measure, held: DataFrame | None = None) -> DataFrame:
