@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import gc
 import tempfile
+import time
 import uuid
 from collections.abc import Callable
 from functools import partial
@@ -48,8 +49,10 @@ def written(build: Callable[[], DataFrame], name: str) -> DataFrame:
 
 def release(spark: SparkSession) -> None:
     """Lets Spark drop the shuffle files of plans that nothing refers to any more, instead of at the driver's next GC."""
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+    for _ in range(2):
+        gc.collect()
+        spark.sparkContext._jvm.System.gc()
+        time.sleep(0.3)  # until listeners have let go of the plan and the cleaner has run
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
