@@ -55,24 +55,25 @@ class Measure:
                 return number, lo, up
             lo, number = up + 1, number + 1
 
-    def classes(self, lo: int, up: int) -> tuple[int, int, int]:
-        """How many classes the shingles of a size class are dealt into, how few make a class thin, and how many thin
-        classes a set may leave out: a linked pair agrees in one class more than that at least."""
+    def classes(self, lo: int, up: int) -> tuple[int, int]:
+        """How many classes the shingles of a size class are dealt into, and how many a set may leave out: a linked pair
+        agrees in one class more than that at least. Room for classes of less than two shingles where they are few,
+        else for empty ones."""
         differ = 2 * up * (self.high - self.low) // (self.high + self.low)
         if not differ:
-            return 1, 1, 0
-        thin = 1 + (lo >= 20)
-        spare = 0
-        for _ in range(8):
-            m = differ + 1 + spare
-            mean = 0.5 * (lo + up) / m
-            share = math.exp(-mean) * (1 + mean if thin > 1 else 1)
-            spare = math.ceil(m * share + math.sqrt(m * share))
-        m = differ + 1 + spare
-        return m, thin, spare
-
-    def reaches(self, n: int) -> list[tuple[int, int, int, int]]:
-        """(number, classes, thin, spare) of the size classes that hold n or its larger partners."""
+            return 1, 0
+        for size, few, room, most in ((0.5 * (lo + up), 2, 1, 1.3), (lo * self.low / self.high, 1, 3, 2.0)):
+            m = differ + 1
+            while m <= most * (differ + 1) + 2:
+                mean = size / m
+                thin = m * math.exp(-mean) * (1 + mean if few == 2 else 1)
+                if math.ceil(thin + room * math.sqrt(thin)) <= m - differ - 1:
+                    return m, m - differ - 1
+                m += 1
+        return m, m - differ - 1
+
+    def reaches(self, n: int) -> list[tuple[int, int, int]]:
+        """(number, classes, spare) of the size classes that hold n or its larger partners."""
         number, lo, up = self.size_class(n)
         out = [(number, *self.classes(lo, up))]
         if self.high * n >= self.low * (up + 1):
@@ -93,16 +94,18 @@ def region_keys(sets: list[np.ndarray], measure: Measure, plans: dict[int, list]
         if n not in plans:
             plans[n] = measure.reaches(n)
         deal, value = mix(own, 1) >> U(20), mix(own, 2)
-        for number, m, thin, spare in plans[n]:
+        for number, m, spare in plans[n]:
             if m == 1:
                 yield row, mix(np.array([value.sum(dtype=np.uint64)]) + U(number * 977))
                 continue
             place = (deal % U(m)).astype(np.int64)
             total = np.zeros(m, np.uint64)
             np.add.at(total, place, value)
-            used = np.bincount(place, minlength=m) >= thin
+            count = np.bincount(place, minlength=m)
+            # of two linked sets the one that leaves out more decides: it leaves out `spare` at most, so an agreeing class stays
+            least = next(t for t in (3, 2, 1, 0) if (count < t).sum() <= spare)
             keys = mix(mix(total) + np.arange(m, dtype=np.uint64) + U(number << 32))
-            yield row, keys if m - used.sum() > spare else keys[used]
+            yield row, keys[count >= least]
 
 
 def _emit(batches, measure: Measure):
