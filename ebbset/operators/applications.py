@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import tempfile
+
 import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -155,3 +157,23 @@ def neighbour_joining(d: np.ndarray) -> list[tuple[int, int, float, float]]:
 def heatmap_rows(spark, matrix: np.ndarray, order: list[int]) -> DataFrame:
     rows = [(i, j, float(matrix[a, b])) for i, a in enumerate(order) for j, b in enumerate(order)]
     return spark.createDataFrame(rows, "row_pos int, col_pos int, value double")
+
+
+def near_duplicate_groups(pairs: DataFrame, most_rounds: int = 50) -> DataFrame:
+    """set_id, group_id: the smallest set reachable by pairs. Labels spread by minima and jump to their labels' labels;
+    each round is checkpointed to the session's checkpoint folder."""
+    spark = pairs.sparkSession
+    if spark.sparkContext._jsc.sc().getCheckpointDir().isEmpty():
+        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="ebbset-"))
+    both = pairs.select(F.col("left_id").alias("set_id"), F.col("right_id").alias("other")).union(pairs.select("right_id", "left_id")).distinct().checkpoint()
+    now = both.groupBy("set_id").agg(F.least("set_id", F.min("other")).alias("group_id")).checkpoint()
+    for _ in range(most_rounds):
+        near = both.join(now.withColumnsRenamed({"set_id": "other", "group_id": "g"}), "other").groupBy("set_id").agg(F.min("g").alias("g"))
+        step = now.join(near, "set_id").select("set_id", F.least("group_id", "g").alias("h"))
+        jump = now.select(F.col("set_id").alias("h"), F.col("group_id").alias("j"))
+        after = step.join(jump, "h", "left").select("set_id", F.least("h", F.coalesce("j", "h")).alias("group_id")).checkpoint()
+        moved = after.join(now.withColumnRenamed("group_id", "was"), "set_id").where("group_id <> was").limit(1).count()
+        now = after
+        if not moved:
+            return now
+    raise RuntimeError("groups did not settle")

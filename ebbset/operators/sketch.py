@@ -77,3 +77,9 @@ def space_report(sketch: DataFrame, net: DataFrame, p: SketchParams) -> DataFram
 def first_bucket(sketch: DataFrame) -> DataFrame:
     """The simplest fingerprint: the smallest non-empty bucket."""
     return sketch.groupBy("set_id", "level").agg(F.min("bucket").alias("first_bucket"))
+
+
+def sampled(view: DataFrame, p: SketchParams, level: int, nested: bool = False) -> DataFrame:
+    """The items of one sampling level (rate 2**-level), or of all deeper levels, which is a sample of the same rate."""
+    own = placed(view.withColumn("delta", F.lit(1)), p)
+    return own.where(F.col("level") > level if nested else F.col("level") == level).select("set_id", "item_id")

@@ -85,7 +85,16 @@ def planted_from_view(view: DataFrame, every: int, similarity: float, density: f
     drop, add = flip_rates(similarity, density)
     base = view.where(F.col("set_id") % every == 0)
     kept = base.where(chance(F.col("set_id"), F.col("item_id"), salt=f"drop{seed}") >= int(drop * 10000))
-    some = base.select("set_id").distinct().select("set_id", F.explode(F.sequence(F.lit(1), F.lit(universe))).cast("long").alias("item_id"))
+    some = base.select("set_id").distinct().select("set_id", F.explode(F.sequence(F.lit(1).cast("long"), F.lit(universe).cast("long"))).alias("item_id"))
     new = some.where(chance(F.col("set_id"), F.col("item_id"), salt=f"add{seed}") < int(add * 10000)).join(base, ["set_id", "item_id"], "left_anti")
     copy = kept.union(new).select((F.col("set_id") + shift).alias("set_id"), "item_id")
     return view.union(copy)
+
+
+def complement_view(view: DataFrame, universe: DataFrame, most: int = 10_000) -> DataFrame:
+    """The items that each set lacks, for similarities that weigh those more; only for universes of a checked size."""
+    n = universe.count()
+    if n > most:
+        raise ValueError(f"a universe of {n} items is too large to complement")
+    every = view.select("set_id").distinct().join(F.broadcast(universe.select("item_id").distinct()), F.lit(True))
+    return every.join(view, ["set_id", "item_id"], "left_anti")

@@ -6,6 +6,7 @@ value.
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -14,6 +15,7 @@ from pyspark.sql import functions as F
 from ebbset import params as P
 from ebbset.operators import applications, baselines, candidates, evaluate, l0, similarity, sketch, updates
 from ebbset.sources import views
+from ebbset.streaming import maintain
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -437,3 +439,62 @@ def _mapped(s, d):
 
 
 add("mds_coords", _mapped, None)
+
+
+# --- samples, complements, planted copies, groups, streams ----------------------------------------------------------------
+
+for _nested in (False, True):
+    add(f"sampled_pairs_{'nested' if _nested else 'level'}", lambda s, d, n=_nested: similarity.exact_pairs(sketch.sampled(views.supplier_parts(s, d), SMALL, 2, n)), pairs_sql(f"SELECT set_id, item_id FROM ({placed_sql(VIEW_SQL['supplier_parts'], SMALL)}) WHERE level {'>' if _nested else '='} 2"))
+add("complement_view", lambda s, d: updates.complement_view(views.customer_brands(s, d), views.customer_brands(s, d).select("item_id").distinct()), f"WITH v AS ({VIEW_SQL['customer_brands']}), u AS (SELECT DISTINCT item_id FROM v), s AS (SELECT DISTINCT set_id FROM v) SELECT set_id, item_id FROM s, u EXCEPT SELECT set_id, item_id FROM v")
+_DROP, _ADD = (int(x * 10000) for x in P.flip_rates(0.5, 0.25))
+
+
+def _dice(salt: str) -> str:
+    return f"('0x' || substr(md5(set_id || ':' || item_id || ':{salt}3'), 1, 7))::BIGINT % 10000"
+
+
+add("planted_pairs", lambda s, d: updates.planted_from_view(views.supplier_parts(s, d).where("item_id <= 200"), 5, 0.5, 0.25, 200), f"""WITH v AS (SELECT * FROM ({VIEW_SQL['supplier_parts']}) WHERE item_id <= 200), b AS (SELECT * FROM v WHERE set_id % 5 = 0),
+    n AS (SELECT set_id, item_id FROM (SELECT DISTINCT set_id FROM b), (SELECT range AS item_id FROM range(1, 201)))
+    SELECT set_id, item_id FROM v UNION ALL SELECT set_id + 10000000, item_id FROM b WHERE {_dice('drop')} >= {_DROP} UNION ALL
+    SELECT set_id + 10000000, item_id FROM (SELECT * FROM n WHERE {_dice('add')} < {_ADD} EXCEPT SELECT set_id, item_id FROM b)""")
+add("near_duplicate_groups", lambda s, d: applications.near_duplicate_groups(exact(_docs)(s, d).where("inter >= 0.5 * uni")), f"""WITH RECURSIVE p AS (SELECT left_id AS a, right_id AS b FROM ({pairs_sql(net_sql(_docs_sql))}) WHERE inter >= 0.5 * uni), e AS (SELECT a, b FROM p UNION SELECT b, a FROM p),
+    r(set_id, node) AS (SELECT a, a FROM e UNION SELECT r.set_id, e.b FROM r JOIN e ON e.a = r.node) SELECT set_id, min(node) AS group_id FROM r GROUP BY 1""")
+
+
+def _event_stream(s, d):
+    e = s.readStream.schema(views.table(s, d, "events").schema).parquet(f"{d}/event[s].parquet")
+    return e.select(F.col("user_id").alias("set_id"), F.get_json_object("props", "$.k").cast("long").alias("item_id"), F.lit(1).alias("delta"), "ts")
+
+
+def _drained(stream: DataFrame) -> DataFrame:
+    return maintain.drained(stream, f"drained_{uuid.uuid4().hex}", "complete")
+
+
+add("stream_sketch_cells", lambda s, d: _drained(maintain.stream_cells(_event_stream(s, d), SMALL)).where("cnt <> 0"), cells_sql("SELECT user_id AS set_id, (props->>'k')::BIGINT AS item_id, 1 AS delta FROM events", SMALL))
+add("stream_tumbling", lambda s, d: _drained(_event_stream(s, d).withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", "2 days").groupBy("set_id", F.window("ts", "1 day").alias("w")).agg(F.count("*").alias("n"))).select("set_id", F.date_format("w.start", "yyyy-MM-dd").alias("day"), "n"), "SELECT user_id AS set_id, strftime(ts, '%Y-%m-%d') AS day, count(*) AS n FROM events GROUP BY 1, 2")
+add("maintenance_costs", lambda s, d: _costs(_live(s, d)), None)
+
+
+def _costs(stream: DataFrame) -> DataFrame:
+    """Hash evaluations and rebuilt signatures of eager upkeep, with and without selection, and profiles read by rescans."""
+    of = lambda how, f: f.groupBy("set_id").agg(F.max("evaluated").alias("e"), F.max("rebuilt").alias("r")).agg(F.lit(how).alias("method"), F.sum("e").alias("evaluated"), F.sum("r").alias("rebuilt"))
+    scans = baselines.rescan_cost(stream).agg(F.lit("stored profiles").alias("method"), (F.sum("rescanned") * SMALL.rows * SMALL.bands).alias("evaluated"), F.sum("removals").alias("rebuilt"))
+    return of("eager", maintain.eager_signatures(stream, SMALL, False)).union(of("eager, selective", maintain.eager_signatures(stream, SMALL, True))).union(scans)
+
+
+def deviation_sweep(s, d):
+    """Deviation of estimates over sampling rates and bucket counts, on suppliers with planted copies."""
+    out = None
+    view = updates.insert_stream(updates.planted_from_view(views.supplier_parts(s, d).where("item_id <= 200"), 5, 0.5, 0.25, 200))
+    net = updates.net_sets(view)
+    true = similarity.exact_pairs(net).withColumn("sim", F.col("inter") / F.col("uni"))
+    for alpha in (0.05, 0.1, 0.2):
+        for buckets in (64, 128, 256):
+            p = P.SketchParams(log_m=12, buckets=buckets, alpha=alpha, r1=0.25)
+            est = candidates.estimate_pairs(true.select("left_id", "right_id"), sketch.packed(sketch.cells(view, p), p), updates.cardinalities(net), p)
+            own = evaluate.squared_deviation(est, true).select(F.lit(alpha).alias("alpha"), F.lit(buckets).alias("buckets"), "side", "pairs", "deviation")
+            out = own if out is None else out.union(own)
+    return out
+
+
+add("deviation_sweep", deviation_sweep, None)
