@@ -1,7 +1,7 @@
 """Byte-level BPE in Spark: ranked merges folded by higher-order functions over distinct words.
 
-Words are the matches of the splitting pattern. merges() folds a word's bytes: each step looks up the ranks of all
-neighbouring pairs in a literal rank map and joins the pair of least rank, until none has one. The literal is an array
+Words are the matches of the splitting pattern. merges() folds a word's bytes: each step joins the
+neighbouring pair of least rank and looks up the two pairs beside it in a literal rank map, until no pair has a rank. The literal is an array
 of small maps found by a hash of the key, since one large map would be searched from end to end.
 
 Each distinct word is folded, not each occurrence: words frequent in the corpus once (at most about DICTIONARY of them,
@@ -29,7 +29,7 @@ from ebbset.llm._spark import written
 from ebbset.llm._text import list_array, pieces
 from ebbset.llm.tokens import byte_ranks, gather, piece_encoder, split_pieces, vocabulary
 
-DICTIONARY, LONG = 400_000, 64
+DICTIONARY, LONG = 1_500_000, 64
 SLOTS = 1 << 16
 
 
@@ -56,22 +56,34 @@ def merges(word: Column, table: Column) -> Column:
     text = F.lower(F.hex(word))
     single = F.transform(F.sequence(F.lit(0), F.octet_length(word) - 1), lambda i: F.substr(text, i * 2 + 1, F.lit(2)))
 
-    def joined(parts: Column, ranks: Column) -> Column:
-        at = F.array_position(ranks, F.array_min(ranks)).cast("int")
-        pair = F.array(F.concat(F.element_at(parts, at), F.element_at(parts, at + 1)))
-        return F.concat(F.slice(parts, F.lit(1), at - 1), pair, F.slice(parts, at + 2, F.size(parts)))
+    def joined(state: Column, at: Column) -> Column:
+        """The pair at that place (from 1) made one part; only the pairs beside it get new ranks."""
+        parts, ranks = state["parts"], state["ranks"]
+        pair = F.concat(F.get(parts, at - 1), F.get(parts, at))
+        first, last = at == 1, at + 1 == F.size(parts)
+
+        def put(both: Column) -> Column:
+            fresh = F.slice(both, F.when(first, 2).otherwise(1), 2 - first.cast("int") - last.cast("int"))
+            return F.concat(F.slice(ranks, F.lit(1), F.greatest(at - 2, F.lit(0))), fresh, F.slice(ranks, at + 2, F.size(ranks)))
+
+        def beside(p: Column) -> Column:
+            keys = F.array(F.concat(F.get(parts, at - 2), p), F.concat(p, F.get(parts, at + 1)))
+            now = _let(F.transform(keys, lambda k: _rank(table, k)), put)
+            return F.struct(F.concat(F.slice(parts, F.lit(1), at - 1), F.array(p), F.slice(parts, at + 2, F.size(parts))).alias("parts"), now.alias("ranks"))
+
+        return _let(pair, beside)
 
     def step(state: Column, _: Column) -> Column:
-        parts = state["parts"]
-        places = F.sequence(F.lit(0), F.size(parts) - 2)
+        least = F.array_min(state["ranks"])
+        return F.when(least.isNull(), state).otherwise(_let(F.array_position(state["ranks"], least).cast("int"), lambda at: joined(state, at)))
+
+    def started(parts: Column) -> Column:
+        places = F.slice(F.sequence(F.lit(0), F.size(parts) - 1), F.lit(1), F.size(parts) - 1)
         ranks = F.transform(places, lambda i: _rank(table, F.concat(F.get(parts, i), F.get(parts, i + 1))))
-        done = F.struct(parts.alias("parts"), F.lit(True).alias("done"))
-        after = _let(ranks, lambda r: F.when(F.array_min(r).isNull(), done).otherwise(F.struct(joined(parts, r).alias("parts"), F.lit(False).alias("done"))))
-        return F.when(state["done"] | (F.size(parts) < 2), done).otherwise(after)
+        return F.struct(parts.alias("parts"), ranks.alias("ranks"))
 
-    start = F.struct(single.alias("parts"), F.lit(False).alias("done"))
     steps = F.sequence(F.lit(1), F.octet_length(word))
-    return F.aggregate(steps, start, step, lambda s: F.transform(s["parts"], lambda p: _rank(table, p)))
+    return F.aggregate(steps, _let(single, started), step, lambda s: F.transform(s["parts"], lambda p: _rank(table, p)))
 
 
 def _plain(docs: DataFrame) -> DataFrame:
