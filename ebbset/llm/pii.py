@@ -2,7 +2,7 @@
 
 Regular expressions propose spans. Validators confirm them: octet range for ip, length and Luhn for card, digit count for
 phone, mod-97 for iban. Every proposal has a base score, raised by words nearby that name its kind and lowered by words
-that name something else. What passes a base rule stays whatever its context; what the method adds (iban, identity
+before it that name something else. What passes a base rule stays whatever its context; what the method adds (iban, identity
 numbers, local phone numbers) must be confirmed by checksum or context, its score reaching the threshold.
 
 The patterns give what the plain ones give but can't backtrack: runs are possessive and a search doesn't begin inside a
@@ -107,8 +107,9 @@ def _spans_of(rank: int, kind: Kind, matches: str, gaps: str, lengths: str) -> C
         match, gap = F.get(F.col(matches), i), F.get(F.col(gaps), i)
         start = acc["at"] + F.char_length(gap)
         end = start + F.char_length(match)
-        near = F.lower(F.concat(F.right(gap, F.lit(BEFORE)), F.lit(" "), F.left(F.get(F.col(gaps), i + 1), F.lit(AFTER))))
-        score = F.lit(kind.score) + F.when(near.rlike(kind.near), 0.3).otherwise(0.0) - F.when(near.rlike(AGAINST), 0.3).otherwise(0.0)
+        before = F.lower(F.right(gap, F.lit(BEFORE)))
+        near = F.concat(before, F.lit(" "), F.lower(F.left(F.get(F.col(gaps), i + 1), F.lit(AFTER))))
+        score = F.lit(kind.score) + F.when(near.rlike(kind.near), 0.3).otherwise(0.0) - F.when(before.rlike(AGAINST), 0.3).otherwise(0.0)
         keep = confirmed(kind, match) & (F.lit(kind.base) | (score >= THRESHOLD))
         one = F.struct(start.alias("start"), F.lit(rank).alias("rank"), F.lit(kind.name).alias("kind"), end.alias("end"), F.least(score, F.lit(1.0)).alias("score"), F.lit(kind.base).alias("base"))
         return F.struct(end.alias("at"), F.when(keep, F.concat(acc["out"], F.array(one))).otherwise(acc["out"]).alias("out"))
