@@ -183,8 +183,10 @@ class _Counts:
     def may_link(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
         """Whether sets may link: counts that differ by more than linked sets of these sizes can rule it out."""
         out = np.zeros(len(a), bool)
-        kind = self.many[a] * (1 << 20) + self.many[b]
-        for k in np.unique(kind):
+        size, other = self.size[a], self.size[b]
+        within = self.measure.high * np.minimum(size, other) >= self.measure.low * np.maximum(size, other)
+        kind = np.where(within, self.many[a] * (1 << 20) + self.many[b], -1)
+        for k in np.unique(kind[within]):
             mine = np.flatnonzero(kind == k)
             left, right = int(k >> 20), int(k & ((1 << 20) - 1))
             to = min(left, right)
@@ -199,7 +201,8 @@ def _region_links(batches, measure: Measure):
     """Links that connect, in each region, whatever documents may link in it; batches are sorted by key.
 
     In the L1 space of class counts the first document is the pivot; each one that may not link with an earlier pivot
-    becomes a pivot in turn and is held against all others.
+    becomes a pivot in turn and is held against all others. Then the others are held against those of other stars that
+    nothing connects with theirs.
     """
     for table in runs(batches, ["key"]):
         key, doc, size = (np.asarray(table.column(c)) for c in ("key", "doc_id", "n_shingles"))
@@ -216,20 +219,47 @@ def _region_links(batches, measure: Measure):
         for lo, hi in zip(at[alone > 0].tolist(), end[alone > 0].tolist(), strict=True):
             if hi - lo < 3:
                 continue
-            left, every = np.flatnonzero(~near[lo:hi]) + lo, own[lo:hi]
-            done = near[lo:hi].copy()
-            for pivot in left:
-                if done[pivot - lo]:
-                    continue
-                hit = counts.may_link(np.full(len(every), pivot), every)
-                done |= hit
-                pairs.append(np.stack([np.full(int(hit.sum()), doc[pivot]), doc[every[hit]]], axis=1))
+            links = _star_links(counts, np.arange(lo, hi), near[lo:hi])
+            if links:
+                pairs.append(doc[np.array(links) + lo])
         found = np.concatenate(pairs)
         found = np.unique(found[found[:, 0] != found[:, 1]], axis=0)
         if len(found):
             yield pa.RecordBatch.from_arrays([pa.array(found[:, 0]), pa.array(found[:, 1])], ["a", "b"])
 
 
+def _star_links(counts: _Counts, every: np.ndarray, near: np.ndarray) -> list[tuple[int, int]]:
+    """Links beside the head's that connect all of a region that may link; near: what may link with the head."""
+    group = np.arange(len(every))
+    group[near] = 0
+    links = []
+
+    def join(a: int, others: np.ndarray) -> None:
+        for g, b in dict(zip(group[others].tolist(), others.tolist(), strict=True)).items():
+            if g != group[a]:
+                links.append((a, b))
+                group[group == g] = group[a]
+
+    done = near.copy()
+    rest = near.copy()  # all but pivots, whose pairs are all tested
+    rest[0] = False
+    for pivot in np.flatnonzero(~near).tolist():
+        if done[pivot]:
+            rest[pivot] = True
+            continue
+        hit = np.flatnonzero(counts.may_link(np.full(len(every), every[pivot]), every))
+        done[hit] = True
+        join(pivot, hit)
+    rest = np.flatnonzero(rest)
+    for i, a in enumerate(rest.tolist()):
+        if (group[rest] == group[a]).all():
+            break
+        others = rest[i + 1 :][group[rest[i + 1 :]] != group[a]]
+        if len(others):
+            join(a, others[counts.may_link(np.full(len(others), every[a]), every[others])])
+    return links
+
+
 class _Forest:
     def __init__(self, n: int):
         self.up = list(range(n))
