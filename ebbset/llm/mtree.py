@@ -54,6 +54,7 @@ class Tree:
 
     def __init__(self, ids: np.ndarray, vectors: np.ndarray):
         self.ids, self.vectors = ids, vectors
+        self.repeats = len(np.unique(ids)) < len(ids)
         own = vectors.astype(np.float64)
         square = (own**2).sum(axis=1)
         self.most = float(square.max(initial=0.0))
@@ -116,7 +117,13 @@ class Tree:
             s = np.concatenate([best[who], np.where(ok, score, np.iinfo(np.int64).min)], axis=1)
             o = np.concatenate([owner[who], np.where(ok, other, np.iinfo(np.int64).max)], axis=1)
             f = np.concatenate([found[who], ok], axis=1)
-            order = np.lexsort((o, np.where(f, -s, np.iinfo(np.int64).max)), axis=1)[:, :k]
+            order = np.lexsort((o, np.where(f, -s, np.iinfo(np.int64).max)), axis=1)
+            if self.repeats:
+                # rows of one id and score count once
+                s, o, f = (np.take_along_axis(x, order, axis=1) for x in (s, o, f))
+                f[:, 1:] &= (s[:, 1:] != s[:, :-1]) | (o[:, 1:] != o[:, :-1])
+                order = np.argsort(~f, axis=1, kind="stable")
+            order = order[:, :k]
             best[who], owner[who], found[who] = (np.take_along_axis(x, order, axis=1) for x in (s, o, f))
 
         def distance(node: Node, who: np.ndarray) -> np.ndarray:
@@ -204,7 +211,7 @@ def top_k(vectors: DataFrame, every: int = 50, k: int = 5, scale: int = 256) ->
     plain = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("e")).where("vec_id is not null and e is not null")
     limit = F.lit(float("inf"))
     whole = F.forall("e", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < limit))
-    plain = plain.where(whole).select("vec_id", F.transform("e", lambda x: F.floor(x * scale)).alias("vector"))
+    plain = plain.where(whole).select("vec_id", F.transform("e", lambda x: F.floor(x * scale)).alias("vector")).distinct()
     asked = F.col("vec_id") % every == 0
     size = plain.agg(F.count("*").alias("n"), F.count_if(asked).alias("q")).first()
     parts, blocks = max(1, -(-size.n // PART_ROWS)), max(1, -(-size.q // BLOCK_QUERIES))
