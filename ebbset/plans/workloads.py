@@ -321,7 +321,7 @@ add("stale_minhash_drift", lambda s, d: baselines.drift(_sup(s, d), updates.net_
     FROM ({plain_sql(_ever, SMALL)}) o JOIN ({plain_sql(net_sql(_sup_sql), SMALL)}) n USING (set_id)""")
 add("rescan_cost", lambda s, d: baselines.rescan_cost(_live(s, d)), f"""SELECT set_id, count(*) AS removals, sum(greatest(now, 0))::BIGINT AS rescanned FROM (SELECT *, sum(delta) OVER (PARTITION BY set_id ORDER BY ts, seq, item_id, delta DESC ROWS UNBOUNDED PRECEDING) AS now FROM ({_live_sql}))
     WHERE delta < 0 GROUP BY 1""")
-add("spark_ml_minhash", lambda s, d: baselines.spark_ml_minhash(updates.net_sets(_docs(s, d)).where("set_id < 300")), None)
+add("spark_ml_minhash", lambda s, d: baselines.spark_ml_minhash(updates.net_sets(_docs(s, d))), None)
 
 
 def _measured(stream: Query, p: P.SketchParams):
@@ -392,8 +392,8 @@ add("inter_from_union_identity", lambda s, d: similarity.exact_pairs(views.user_
 
 
 def _l0_report(s, d):
-    """Relative errors of sketched sizes and Jaccard distances for the pairs of some suppliers."""
-    stream = _sup(s, d).where("set_id <= 10")
+    """Relative errors of sketched sizes and Jaccard distances for all pairs of suppliers."""
+    stream = _sup(s, d)
     pairs = similarity.exact_pairs(updates.net_sets(stream))
     big = P.SketchParams(log_m=12, buckets=1024)
     sk = l0.l0_cells(stream, big, 3)
@@ -457,6 +457,15 @@ add("planted_pairs", lambda s, d: updates.planted_from_view(views.supplier_parts
     n AS (SELECT set_id, item_id FROM (SELECT DISTINCT set_id FROM b), (SELECT range AS item_id FROM range(1, 201)))
     SELECT set_id, item_id FROM v UNION ALL SELECT set_id + 10000000, item_id FROM b WHERE {_dice('drop')} >= {_DROP} UNION ALL
     SELECT set_id + 10000000, item_id FROM (SELECT * FROM n WHERE {_dice('add')} < {_ADD} EXCEPT SELECT set_id, item_id FROM b)""")
+
+
+def planted(s, d):
+    """All suppliers' parts and planted copies, over a universe of as many items as the view's largest id."""
+    view = views.supplier_parts(s, d)
+    return updates.planted_from_view(view, 5, 0.5, 0.25, view.agg(F.max("item_id")).first()[0] or 1)
+
+
+add("planted_pairs_whole", planted, None)  # the SQL of planted_pairs holds the first 200 parts only
 add("near_duplicate_groups", lambda s, d: applications.near_duplicate_groups(exact(_docs)(s, d).where("inter >= 0.5 * uni")), f"""WITH RECURSIVE p AS (SELECT left_id AS a, right_id AS b FROM ({pairs_sql(net_sql(_docs_sql))}) WHERE inter >= 0.5 * uni), e AS (SELECT a, b FROM p UNION SELECT b, a FROM p),
     r(set_id, node) AS (SELECT a, a FROM e UNION SELECT r.set_id, e.b FROM r JOIN e ON e.a = r.node) SELECT set_id, min(node) AS group_id FROM r GROUP BY 1""")
 
@@ -485,7 +494,7 @@ def _costs(stream: DataFrame) -> DataFrame:
 def deviation_sweep(s, d):
     """Deviation of estimates over sampling rates and bucket counts, on suppliers with planted copies."""
     out = None
-    view = updates.insert_stream(updates.planted_from_view(views.supplier_parts(s, d).where("item_id <= 200"), 5, 0.5, 0.25, 200))
+    view = updates.insert_stream(planted(s, d))
     net = updates.net_sets(view)
     true = similarity.exact_pairs(net).withColumn("sim", F.col("inter") / F.col("uni"))
     for alpha in (0.05, 0.1, 0.2):
