@@ -1,13 +1,14 @@
 """Byte-level BPE in Spark: ranked merges folded by higher-order functions over distinct words.
 
-Words are the matches of the splitting pattern. merges() folds a word's bytes: each step joins the
-neighbouring pair of least rank and looks up the two pairs beside it in a literal rank map, until no pair has a rank. The literal is an array
-of small maps found by a hash of the key, since one large map would be searched from end to end.
+Words are the matches of the splitting pattern. A word's bytes become one character a token; each step of merges() looks
+the neighbouring pairs up in a literal rank map and replaces every place of the pair of least rank, until no pair has a
+rank. The literal is an array of small maps found by a hash of the key, since one large map would be searched from end
+to end. Replacing all places at once keeps a long word to as many steps as it has distinct merges.
 
-Each distinct word is folded, not each occurrence: words frequent in the corpus once (at most about DICTIONARY of them,
-the bound of what is broadcast), the others once a document. Looking up and gathering ids is done on Arrow batches.
-Words of over LONG bytes, where folding costs the square of their length, are merged by a heap in the tokenizer's core.
-Decoding concatenates the ids' byte strings.
+Each distinct word is folded once a task, not once an occurrence: a task's rows name their words by numbers, and a word
+travels with the first row that has it. After about WORDS words a task begins anew, which bounds its memory; nothing is
+broadcast, shuffled or collected. Decoding concatenates the tokens' binary pieces, word by word in Spark, and the words'
+bytes by row on Arrow batches.
 
 Defined results: null text counts as empty and gives no ids; repeated rows are encoded alike; extra columns are ignored.
 """
@@ -25,25 +26,40 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ebbset.llm._spark import written
 from ebbset.llm._text import list_array, pieces
-from ebbset.llm.tokens import byte_ranks, gather, piece_encoder, split_pieces, vocabulary
+from ebbset.llm.tokens import byte_ranks, gather, split_pieces, vocabulary
 
-DICTIONARY, LONG = 1_500_000, 64
+#: A task numbers about so many distinct words before it begins anew.
+WORDS = 500_000
 SLOTS = 1 << 16
+#: A token's character is its id plus this, past the surrogates from there on.
+FIRST, SURROGATES, GAP = 256, 0xD800, 2048
 
 
-def rank_table(ranks: dict[bytes, int]) -> Column:
-    """The ranks as a literal: maps from hexadecimal keys, dealt by the keys' hashes."""
-    slots: list[dict[str, int]] = [{} for _ in range(SLOTS)]
-    for piece, rank in ranks.items():
-        key = piece.hex()
-        slots[xxhash.xxh64_intdigest(key, 42) & (SLOTS - 1)][key] = rank
-    return F.from_json(F.lit(json.dumps(slots, separators=(",", ":"))), "array<map<string,int>>")
+def letter(token: int) -> str:
+    at = token + FIRST
+    return chr(at if at < SURROGATES else at + GAP)
+
+
+def _token(char: Column) -> Column:
+    at = F.ascii(char)
+    return F.when(at < SURROGATES, at - FIRST).otherwise(at - FIRST - GAP)
 
 
-def _rank(table: Column, key: Column) -> Column:
-    return F.try_element_at(F.get(table, F.xxhash64(key).bitwiseAND(F.lit(SLOTS - 1)).cast("int")), key)
+def _literal(value, kind: str) -> Column:
+    return F.from_json(F.lit(json.dumps(value, separators=(",", ":"))), kind)
+
+
+def rank_table(ranks: dict[bytes, int]) -> Column:
+    """Every pair of tokens that is a token, as a literal: maps from pairs to tokens, dealt by the pairs' hashes."""
+    slots: list[dict[str, str]] = [{} for _ in range(SLOTS)]
+    for whole, rank in ranks.items():
+        for cut in range(1, len(whole)):
+            left, right = ranks.get(whole[:cut]), ranks.get(whole[cut:])
+            if left is not None and right is not None:
+                pair = letter(left) + letter(right)
+                slots[xxhash.xxh64_intdigest(pair.encode(), 42) & (SLOTS - 1)][pair] = letter(rank)
+    return _literal(slots, "array<map<string,string>>")
 
 
 def _let(value: Column, use) -> Column:
@@ -51,153 +67,132 @@ def _let(value: Column, use) -> Column:
     return F.element_at(F.transform(F.array(value), use), 1)
 
 
-def merges(word: Column, table: Column) -> Column:
-    """Ids of a binary word of at least one byte."""
-    text = F.lower(F.hex(word))
-    single = F.transform(F.sequence(F.lit(0), F.octet_length(word) - 1), lambda i: F.substr(text, i * 2 + 1, F.lit(2)))
+def merges(word: Column, ranks: dict[bytes, int]) -> Column:
+    """A binary word of at least one byte as a string of its tokens' characters."""
+    table = rank_table(ranks)
+    single = "".join(letter(ranks[bytes([b])]) for b in range(256))
+    start = F.translate(F.decode(word, "ISO-8859-1"), "".join(map(chr, range(256))), single)
 
-    def joined(state: Column, at: Column) -> Column:
-        """The pair at that place (from 1) made one part; only the pairs beside it get new ranks."""
-        parts, ranks = state["parts"], state["ranks"]
-        pair = F.concat(F.get(parts, at - 1), F.get(parts, at))
-        first, last = at == 1, at + 1 == F.size(parts)
+    def merged(pair: Column) -> Column:
+        return F.try_element_at(F.get(table, F.xxhash64(pair).bitwiseAND(F.lit(SLOTS - 1)).cast("int")), pair)
 
-        def put(both: Column) -> Column:
-            fresh = F.slice(both, F.when(first, 2).otherwise(1), 2 - first.cast("int") - last.cast("int"))
-            return F.concat(F.slice(ranks, F.lit(1), F.greatest(at - 2, F.lit(0))), fresh, F.slice(ranks, at + 2, F.size(ranks)))
+    def state(text: Column, more: bool) -> Column:
+        return F.struct(text.alias("text"), F.lit(more).alias("more"))
 
-        def beside(p: Column) -> Column:
-            keys = F.array(F.concat(F.get(parts, at - 2), p), F.concat(p, F.get(parts, at + 1)))
-            now = _let(F.transform(keys, lambda k: _rank(table, k)), put)
-            return F.struct(F.concat(F.slice(parts, F.lit(1), at - 1), F.array(p), F.slice(parts, at + 2, F.size(parts))).alias("parts"), now.alias("ranks"))
+    def replaced(now: Column, pairs: Column, tokens: Column) -> Column:
+        least = F.array_min(tokens)
+        pair = F.get(pairs, F.array_position(tokens, least).cast("int") - 1)
+        return F.when(least.isNull(), state(now["text"], False)).otherwise(state(F.replace(now["text"], pair, least), True))
 
-        return _let(pair, beside)
+    def step(now: Column, _: Column) -> Column:
+        chars = F.split(now["text"], "")
+        pairs = F.zip_with(chars, F.slice(chars, F.lit(2), F.greatest(F.size(chars) - 1, F.lit(0))), lambda a, b: F.concat(a, b))
+        return F.when(~now["more"], now).otherwise(_let(pairs, lambda p: _let(F.transform(p, merged), lambda t: replaced(now, p, t))))
 
-    def step(state: Column, _: Column) -> Column:
-        least = F.array_min(state["ranks"])
-        return F.when(least.isNull(), state).otherwise(_let(F.array_position(state["ranks"], least).cast("int"), lambda at: joined(state, at)))
+    steps = F.sequence(F.lit(1), F.octet_length(word))
+    return F.aggregate(steps, state(start, True), step, lambda s: s["text"])
 
-    def started(parts: Column) -> Column:
-        places = F.slice(F.sequence(F.lit(0), F.size(parts) - 1), F.lit(1), F.size(parts) - 1)
-        ranks = F.transform(places, lambda i: _rank(table, F.concat(F.get(parts, i), F.get(parts, i + 1))))
-        return F.struct(parts.alias("parts"), ranks.alias("ranks"))
 
-    steps = F.sequence(F.lit(1), F.octet_length(word))
-    return F.aggregate(steps, _let(single, started), step, lambda s: F.transform(s["parts"], lambda p: _rank(table, p)))
+def tokens_of(folded: Column) -> Column:
+    """Ids of a folded word."""
+    return F.transform(F.split(folded, ""), _token)
+
+
+def decoded(ids: Column, ranks: dict[bytes, int]) -> Column:
+    """The bytes of an array of ids: their pieces end to end."""
+    piece = [""] * (max(ranks.values()) + 1)
+    for token, rank in ranks.items():
+        piece[rank] = token.hex()
+    table = _literal(piece, "array<string>")
+    return F.unhex(F.array_join(F.transform(ids, lambda i: F.get(table, i)), ""))
 
 
 def _plain(docs: DataFrame) -> DataFrame:
     return docs.select("doc_id", F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
 
 
-def _counts(batches):
-    """Words that occur twice at least in a few MB, with their counts."""
-    for batch in batches:
-        for part in pieces(batch):
-            coded = split_pieces(part.column("text"))[0].dictionary_encode()
-            n = np.bincount(np.asarray(coded.indices), minlength=len(coded.dictionary))
-            keep = pa.array((n > 1) & (np.asarray(pc.binary_length(coded.dictionary)) <= LONG))
-            yield pa.RecordBatch.from_arrays([coded.dictionary.filter(keep), pa.array(n.astype(np.int64)).filter(keep)], ["word", "n"])
-
-
-def dictionary(docs: DataFrame, table: Column, most: int = DICTIONARY) -> pa.Table:
-    """Frequent words with their ids: all above a count (in steps of an eighth of a power of two) that about `most` reach."""
-    counts = written(lambda: _plain(docs).mapInArrow(_counts, "word binary, n long").groupBy("word").agg(F.floor(F.log2(F.sum("n")) * 8).cast("int").alias("level")), "word-counts")
-    levels = counts.groupBy("level").count().collect()  # some hundred rows
-    low, total = 1 << 30, 0
-    for level, n in sorted(levels, reverse=True):
-        total += n
-        if total > most:
-            break
-        low = level
-    return counts.where(F.col("level") >= low).select("word", merges(F.col("word"), table).alias("ids")).toArrow()
-
-
-def _look_up(batches, words, path: str):
-    """Codes of each row's words: places in the dictionary, below 0 places in the row's own list of other words."""
-    known, encoder = words.value, None
+def _numbered(batches, most: int):
+    """Each row's words as numbers, with the words that no row before it has; `anew` where the numbers begin at 0 again."""
+    known, anew = pa.array([], pa.binary()), True
     for batch in batches:
         for part in pieces(batch):
+            if len(known) > most:
+                known, anew = known.slice(0, 0), True
             found, first = split_pieces(part.column("text"))
             index = np.asarray(pc.fill_null(pc.index_in(found, value_set=known), -1)).astype(np.int64)
             row = np.repeat(np.arange(len(part)), np.diff(first))
             lost = np.flatnonzero(index < 0)
             coded = found.take(pa.array(lost)).dictionary_encode()
-            # distinct words of each row, numbered within it
-            pair = row[lost] * np.int64(len(coded.dictionary) + 1) + np.asarray(coded.indices)
-            own, number = np.unique(pair, return_inverse=True)
-            owner = own // (len(coded.dictionary) + 1)
-            begin = np.searchsorted(owner, np.arange(len(part) + 1))
-            index[lost] = -1 - (number - begin[row[lost]])
-            words_ = coded.dictionary.take(pa.array(own % (len(coded.dictionary) + 1)))
-            long = np.asarray(pc.binary_length(words_)) > LONG
-            direct = np.zeros(0, np.uint32), np.zeros(len(words_) + 1, np.int64)
-            if long.any():
-                encoder = encoder or piece_encoder(path)
-                size = np.zeros(len(words_), np.int64)
-                size[long], flat = encoder.lists(words_.filter(pa.array(long)).to_pylist())
-                direct = flat, np.concatenate([[0], np.cumsum(size)])
-                words_ = pc.if_else(pa.array(long), pa.scalar(None, pa.binary()), words_)
-            # ids of long words come as little-endian bytes beside the words to fold
-            raw = pa.Array.from_buffers(pa.binary(), len(long), [None, pa.py_buffer((direct[1] * 4).astype(np.int32).tobytes()), pa.py_buffer(direct[0].astype("<u4").tobytes())])
-            at = pa.array(begin.astype(np.int32))
+            number = np.asarray(coded.indices)
+            index[lost] = len(known) + number
+            # words are numbered as they appear, so a row's new ones are a stretch
+            opening = np.unique(number, return_index=True)[1]
+            begin = np.searchsorted(row[lost][opening], np.arange(len(part) + 1)).astype(np.int32)
+            reset = np.zeros(len(part), bool)
+            reset[:1], anew = anew, False
+            known = pa.concat_arrays([known, coded.dictionary])
             yield pa.RecordBatch.from_arrays(
-                [part.column("doc_id"), list_array(index.astype(np.int32), first, pa.int32()), pa.ListArray.from_arrays(at, words_), pa.ListArray.from_arrays(at, raw)],
-                ["doc_id", "codes", "others", "direct"],
+                [part.column("doc_id"), list_array(index.astype(np.int32), first, pa.int32()), pa.ListArray.from_arrays(pa.array(begin), coded.dictionary), pa.array(reset)],
+                ["doc_id", "codes", "fresh", "anew"],
             )
 
 
-def _joined(batches, frequent, path: str):
-    """Ids of each row and the bytes they decode to."""
-    size_known, flat_known = frequent.value
-    tokens = byte_ranks(path)
-    text = [b""] * (max(tokens.values()) + 1)
-    for piece, rank in tokens.items():
-        text[rank] = piece
-    length = np.array([len(t) for t in text])
-    flat_text = np.frombuffer(b"".join(text), np.uint8)
+class _Words:
+    """Lists of numbers that grow in place."""
+
+    def __init__(self, kind):
+        self.flat, self.ends, self.n, self.used = np.zeros(1 << 16, kind), np.zeros(1 << 12, np.int64), 0, 0
+
+    def clear(self) -> None:
+        self.n = self.used = 0
+
+    def add(self, size: np.ndarray, flat: np.ndarray) -> None:
+        while self.used + len(flat) > len(self.flat):
+            self.flat = np.concatenate([self.flat, np.zeros_like(self.flat)])
+        while self.n + len(size) > len(self.ends):
+            self.ends = np.concatenate([self.ends, np.zeros_like(self.ends)])
+        self.flat[self.used : self.used + len(flat)] = flat
+        self.ends[self.n : self.n + len(size)] = self.used + np.cumsum(size)
+        self.n, self.used = self.n + len(size), self.used + len(flat)
+
+    def take(self, index: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        return gather(np.diff(self.ends[: self.n], prepend=0), self.flat, index, first)
+
+
+def _joined(batches):
+    """Ids of each row and the bytes they decode to, from the words seen so far."""
+    ids, texts = _Words(np.int32), _Words(np.uint8)
     for batch in batches:
-        codes, others, direct = batch.column("codes"), batch.column("folded"), batch.column("direct")
-        flat = codes.flatten()
-        index = np.asarray(flat).astype(np.int64)
-        first = np.concatenate([[0], np.cumsum(np.asarray(codes.value_lengths()))])
-        begin = np.concatenate([[0], np.cumsum(np.asarray(others.value_lengths()))])
-        lists, raws = others.flatten(), direct.flatten()
-        size = np.asarray(pc.fill_null(pc.list_value_length(lists), 0)).astype(np.int64)
-        ids = np.asarray(lists.flatten()).astype(np.uint32)
-        raw_size = np.asarray(pc.binary_length(raws)).astype(np.int64) // 4
-        if raw_size.any():
-            at = np.cumsum(size) - size
-            ids = np.concatenate([x for i in range(len(size)) for x in (ids[at[i] : at[i] + size[i]], np.frombuffer(raws[i].as_py(), "<u4"))]) if len(size) else ids
-            size = size + raw_size
-        row = np.repeat(np.arange(len(batch)), np.diff(first))
-        index = np.where(index >= 0, index, len(size_known) + begin[row] - 1 - index)
-        found, ends = gather(np.concatenate([size_known, size]), np.concatenate([flat_known, ids]), index, first)
-        back, bounds = gather(length, flat_text, found.astype(np.int64), ends)
-        yield pa.RecordBatch.from_arrays(
-            [batch.column("doc_id"), list_array(found.astype(np.int32), ends, pa.int32()), pa.Array.from_buffers(pa.binary(), len(batch), [None, pa.py_buffer(bounds.astype(np.int32).tobytes()), pa.py_buffer(back.tobytes())])],
-            ["doc_id", "ids", "decoded"],
-        )
-
-
-def encode(docs: DataFrame, path: str | None = None) -> DataFrame:
+        cut = np.flatnonzero(np.asarray(batch.column("anew")))
+        for a, b in zip([0, *cut.tolist()], [*cut.tolist(), len(batch)], strict=True):
+            if a == b:
+                continue
+            part = batch.slice(a, b - a)
+            if part.column("anew")[0].as_py():
+                ids.clear()
+                texts.clear()
+            lists, raw = part.column("ids").flatten(), part.column("texts").flatten()
+            ids.add(np.asarray(pc.list_value_length(lists), np.int64), np.asarray(lists.flatten()))
+            texts.add(np.asarray(pc.binary_length(raw), np.int64), np.frombuffer(b"".join(raw.to_pylist()), np.uint8))
+            codes = part.column("codes")
+            index = np.asarray(codes.flatten()).astype(np.int64)
+            first = np.concatenate([[0], np.cumsum(np.asarray(codes.value_lengths()))]).astype(np.int64)
+            found, ends = ids.take(index, first)
+            back, bounds = texts.take(index, first)
+            yield pa.RecordBatch.from_arrays(
+                [part.column("doc_id"), list_array(found, ends, pa.int32()), pa.Array.from_buffers(pa.binary(), len(part), [None, pa.py_buffer(bounds.astype(np.int32).tobytes()), pa.py_buffer(back.tobytes())])],
+                ["doc_id", "ids", "decoded"],
+            )
+
+
+def encode(docs: DataFrame, path: str | None = None, words: int = WORDS) -> DataFrame:
     """doc_id, ids (array) and decoded (binary) of each row. path: the file of ranks."""
-    path = path or vocabulary("byte_bpe_50k.tiktoken")
-    table, spark = rank_table(byte_ranks(path)), docs.sparkSession
-    known = dictionary(docs, table).combine_chunks()
-    lists = known.column("ids").combine_chunks()
-    words = known.column("word").combine_chunks()
-    words = words if isinstance(words, pa.Array) else pa.concat_arrays(words.chunks)
-    lists = lists if isinstance(lists, pa.Array) else pa.concat_arrays(lists.chunks)
-    size, flat = np.asarray(lists.value_lengths()).astype(np.int64), np.asarray(lists.flatten()).astype(np.uint32)
+    ranks = byte_ranks(path or vocabulary("byte_bpe_50k.tiktoken"))
     kind = docs.schema["doc_id"].dataType.simpleString()
-    coded = _plain(docs).mapInArrow(
-        partial(_look_up, words=spark.sparkContext.broadcast(words.cast(pa.binary())), path=path),
-        f"doc_id {kind}, codes array<int>, others array<binary>, direct array<binary>",
-    )
-    folded = F.transform("others", lambda w: F.when(w.isNotNull(), merges(w, table)))
-    coded = coded.select("doc_id", "codes", folded.alias("folded"), "direct")
-    return coded.mapInArrow(partial(_joined, frequent=spark.sparkContext.broadcast((size, flat)), path=path), f"doc_id {kind}, ids array<int>, decoded binary")
+    rows = _plain(docs).mapInArrow(partial(_numbered, most=words), f"doc_id {kind}, codes array<int>, fresh array<binary>, anew boolean")
+    rows = rows.select("doc_id", "codes", "anew", F.transform("fresh", lambda w: tokens_of(merges(w, ranks))).alias("ids"))
+    rows = rows.select("doc_id", "codes", "anew", "ids", F.transform("ids", lambda i: decoded(i, ranks)).alias("texts"))
+    return rows.mapInArrow(_joined, f"doc_id {kind}, ids array<int>, decoded binary")
 
 
 def _digests(batches):
