@@ -14,3 +14,21 @@ def test_repeated_rows_count_once(spark):
     con.sql("CREATE TABLE embeddings (vec_id BIGINT, embedding FLOAT[])")
     con.executemany("INSERT INTO embeddings VALUES (?, ?)", rows)
     assert got == sorted(con.sql(queries.ORACLE["op8_mtree_top_k"]).fetchall())
+
+
+def test_regions_pass_limits_on(spark, monkeypatch):
+    """Several regions, parts and blocks give what one scan gives, and far regions are left out."""
+    monkeypatch.setattr(mtree, "PART_ROWS", 60)
+    monkeypatch.setattr(mtree, "BLOCK_QUERIES", 8)
+    monkeypatch.setattr(mtree, "MOST_REGIONS", 6)
+    r = np.random.default_rng(11)
+    center = r.normal(size=(5, 4)) * 3
+    x = center[r.integers(0, 5, 900)] + r.normal(size=(900, 4)) * 0.2
+    rows = [(i, [float(v) for v in x[i].astype(np.float32)]) for i in range(900)] + [(50, [0.0] * 4)]
+    got = sorted(map(tuple, mtree.top_k(spark.createDataFrame(rows, "vec_id long, embedding array<float>")).collect()))
+    own = [(i, np.floor(np.array(v) * 256).astype(np.int64)) for i, v in rows]
+    want = []
+    for i in range(0, 900, 50):
+        score = {(-int(v @ w), j) for k, v in own if k == i for j, w in own if j != i}
+        want += [(i, n + 1, j, -s) for n, (s, j) in enumerate(sorted(score)[:5])]
+    assert got == want
