@@ -367,6 +367,36 @@ def test_level_choice_is_the_least_sum_of_squares():
         p.place(size, None)
 
 
+@pytest.mark.parametrize("n", [0, 1, 2, 7, 400])
+def test_rest_keeps_what_the_rule_filled(n):
+    r = random.Random(n)
+    p, done, sizes = packing.LevelPacker(64), [], {}
+    for i in range(n):
+        sizes[i] = r.randint(1, 63)
+        done += [(s, at, size, skip, x) for s, own in p.place(sizes[i], i) or [] for at, size, skip, x in own]
+    by_rule, held = p.closed, {s: [x for *_, x in own] for s, own in p.held.items()}
+    rest = list(p.rest())
+    rows = done + rest
+    spots, parts = {}, {}
+    for s, at, size, skip, x in rows:
+        spots.setdefault(s, []).append((at, size))
+        parts.setdefault(x, []).append((skip, size))
+    for own in spots.values():
+        own.sort()
+        assert all(a + n == b for (a, n), (b, _) in zip(own[:-1], own[1:], strict=True)) and own[0][0] == 0
+        total = sum(n for _, n in own)
+        assert total == 64 or total & (total - 1) == 0
+    for x, own in parts.items():
+        own.sort()
+        assert own[0][0] == 0 and all(a + n == b for (a, n), (b, _) in zip(own[:-1], own[1:], strict=True)) and sum(n for _, n in own) == sizes[x]
+    assert set(parts) == set(sizes)
+    # most windows that were open at the end stand, in the order in which the rule filled them
+    stood = sum([x for t, _, _, _, x in rest if t == s][: len(own)] == own for s, own in held.items())
+    assert p.dissolved <= max(1, len(held)) and stood >= len(held) - p.dissolved
+    if n == 400:
+        assert by_rule > 5 * p.dissolved
+
+
 def test_top_k(spark, duck):
     got = sorted(map(tuple, queries.op8_mtree_top_k(spark, SF).collect()))
     assert got == sorted(duck.sql(queries.ORACLE["op8_mtree_top_k"]).fetchall())
