@@ -30,10 +30,10 @@ def new_path(spark: SparkSession, name: str) -> str:
     return f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
 
 
-def written(build: Callable[[], DataFrame], name: str) -> DataFrame:
+def written(build: Callable[[], DataFrame], name: str, large: bool = False) -> DataFrame:
     """The rows of build() as a table written to the shared folder: cuts the lineage and outlives executors.
 
-    What build() makes is referred to by nothing afterwards, so its shuffle files can go at once.
+    What build() makes is referred to by nothing afterwards; large: it shuffles texts or more, whose files go at once.
     """
 
     def run() -> tuple[SparkSession, StructType, str]:
@@ -43,7 +43,8 @@ def written(build: Callable[[], DataFrame], name: str) -> DataFrame:
         return df.sparkSession, df.schema, path
 
     spark, schema, path = run()
-    release(spark)
+    if large:
+        release(spark)
     return spark.read.schema(schema).parquet(path)
 
 
@@ -55,6 +56,19 @@ def release(spark: SparkSession) -> None:
         time.sleep(0.3)  # until listeners have let go of the plan and the cleaner has run
 
 
+def quoted(name: str) -> str:
+    """A column's name as a reference, whatever characters it has."""
+    return f"`{name.replace('`', '``')}`"
+
+
+def unused(df: DataFrame, name: str) -> str:
+    """A column name that the table doesn't have."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 

@@ -5,11 +5,16 @@ a corpus are 1, so document pivots alone would leave one far region that holds a
 therefore uses pivots in restricted universes: shingles are dealt into as many classes as a linked pair can differ in
 plus some, so a linked pair agrees wholly in at least one class. Each distinct restricted set is the pivot of a
 Voronoi region of radius 0, and a triangle-inequality window on size (the distance to the empty set) also replicates a
-document into the next size class where a partner could lie there. In each region, documents whose shingle counts by
-class are too far apart in L1 to link are parted, again by pivots. Regions that share documents are merged, then joined
-recursively and exactly: two far-apart documents become pivots, each document goes to the nearer one, and those
+document into the next size class where a partner could lie there. Documents whose shingle counts by class are too far
+apart in L1 to link are parted. What remains connected is joined recursively and exactly by document pivots: two
+far-apart documents become pivots, what links with them is linked, each document goes to the nearer one, and those
 within twice the threshold of the boundary go to both sides.
 
+Equal sets (by 128 bits of hash) are one set from the start, named by its smallest document. Sets are connected in
+steps whose links grow with the sets, not with what they share: first each set with the least one it shares a region
+with, then only where a region still holds several groups. Likewise a large connected group is joined block by block,
+each with the group's first set, and pairs of blocks only meet where that leaves several groups.
+
 Defined results: null and empty texts have no shingles and link with nothing; repeated rows of one doc_id act as one
 document per distinct text, all with the same component; ties in pivot choice go to the earlier set. Extra columns of
 the input are ignored.
@@ -27,13 +32,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ebbset.llm._spark import components, written
+from ebbset.llm._spark import components, quoted, written
 from ebbset.llm._text import U, bytes_of, mix, pieces, runs, shingle_sets, signed
 
 #: A region joins in one task up to so many bytes of text and documents; beyond, block by block.
 BLOCK_BYTES, BLOCK_ROWS = 4 << 20, 2048
 #: From so many sets on a region is split by pivots.
-LEAF = 192
+LEAF = 16
 #: Classes whose shingle counts a summary keeps, at least and at most, and shingles a class in between.
 LEAST_COUNTERS, MOST_COUNTERS, PER_COUNTER = 64, 1 << 15, 6
 
@@ -108,46 +113,51 @@ def region_keys(sets: list[np.ndarray], measure: Measure, plans: dict[int, list]
             yield row, keys[count >= least]
 
 
+def names(sets: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    """128 bits that name each set."""
+    out = np.zeros((2, len(sets)), np.uint64)
+    for i, s in enumerate(sets):
+        out[0, i], out[1, i] = mix(s, 3).sum(dtype=np.uint64), mix(s, 7).sum(dtype=np.uint64)
+    return mix(out[0]), mix(out[1])
+
+
 def _emit(batches, measure: Measure):
-    """Region keys of each set's first document in this task; a copy only gives the key of its whole set."""
-    plans, seen = {}, {}
+    """Region keys of each distinct set of a task."""
+    plans, seen = {}, set()
     for batch in batches:
         for part in pieces(batch):
-            ids = np.asarray(part.column("doc_id"))
             sets = shingle_sets(part.column("text"), measure.width)
-            whole = np.array([mix(s, 3).sum(dtype=np.uint64) for s in sets], np.uint64) if sets else np.zeros(0, np.uint64)
-            fresh = []
-            for row, s in enumerate(sets):
-                tag = (int(whole[row]), len(s))
-                fresh.append(len(s) > 0 and tag not in seen)
-                seen.setdefault(tag, None)
-            keys, rows = [], []
-            for row, found in region_keys([s if f else s[:0] for s, f in zip(sets, fresh, strict=True)], measure, plans):
+            high, low = names(sets)
+            for row, tag in enumerate(zip(high.tolist(), low.tolist(), strict=True)):
+                if tag in seen:
+                    sets[row] = sets[row][:0]
+                seen.add(tag)
+            keys, rows = [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)]
+            for row, found in region_keys(sets, measure, plans):
                 keys.append(found)
                 rows.append(np.full(len(found), row))
-            full = np.flatnonzero([len(s) > 0 for s in sets])
-            keys.append(mix(whole[full], 4))
-            rows.append(full)
-            key, row = np.concatenate(keys), np.concatenate(rows).astype(np.int64)
-            yield pa.RecordBatch.from_arrays([signed(key), pa.array(ids[row])], ["key", "doc_id"])
+            key, row = np.concatenate(keys), np.concatenate(rows)
+            yield pa.RecordBatch.from_arrays([signed(key), signed(high[row]), signed(low[row])], ["key", "high", "low"])
 
 
 def _shared(batches):
-    """Regions that hold two documents at least, named by their documents: equal regions count once."""
+    """Regions that hold two sets at least, named by their sets: equal regions count once. first: the least set's name."""
     for table in runs(batches, ["key"]):
-        key, doc = np.asarray(table.column("key")), np.asarray(table.column("doc_id"))
+        key, high, low = (np.asarray(table.column(c)) for c in ("key", "high", "low"))
         fresh = np.ones(len(key), bool)
-        fresh[1:] = (key[1:] != key[:-1]) | (doc[1:] != doc[:-1])
-        key, doc = key[fresh], doc[fresh]
+        fresh[1:] = (key[1:] != key[:-1]) | (high[1:] != high[:-1]) | (low[1:] != low[:-1])
+        key, high, low = key[fresh], high[fresh], low[fresh]
         first = np.ones(len(key), bool)
         first[1:] = key[1:] != key[:-1]
         at = np.flatnonzero(first)
         count = np.diff(np.append(at, len(key)))
-        name = np.repeat(mix(np.add.reduceat(mix(doc.view(np.uint64), 6), at) + count.astype(np.uint64)), count)
+        name = np.repeat(mix(np.add.reduceat(mix(high.view(np.uint64), 6), at) + count.astype(np.uint64)), count)
         keep = np.repeat(count > 1, count)
         if keep.any():
-            rows = np.unique(np.stack([name[keep].view(np.int64), doc[keep]], axis=1), axis=0)
-            yield pa.RecordBatch.from_arrays([pa.array(rows[:, 0]), pa.array(rows[:, 1])], ["key", "doc_id"])
+            head = np.repeat(at, count)
+            _, one = np.unique(np.stack([name[keep].view(np.int64), high[keep], low[keep]], axis=1), axis=0, return_index=True)
+            cols = [x[keep][one] for x in (name.view(np.int64), high, low, high[head], low[head])]
+            yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["key", "high", "low", "first_high", "first_low"])
 
 
 def counters(n: int) -> int:
@@ -159,7 +169,7 @@ def counters(n: int) -> int:
 
 
 def _summary(batches, width: int):
-    """Set size and the number of shingles in each class, at most 255."""
+    """Set size, name, and the number of shingles in each class, at most 255."""
     for batch in batches:
         for part in pieces(batch):
             sets = shingle_sets(part.column("text"), width)
@@ -167,7 +177,8 @@ def _summary(batches, width: int):
             for own in sets:
                 many = counters(len(own))
                 counts.append(np.minimum(np.bincount((mix(own, 5) % U(many)).astype(np.int64), minlength=many), 255).astype(np.uint8).tobytes())
-            yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array([len(s) for s in sets], pa.int64()), pa.array(counts, pa.binary())], ["doc_id", "n_shingles", "counts"])
+            size = pa.array([len(s) for s in sets], pa.int64())
+            yield pa.RecordBatch.from_arrays([part.column("doc_id"), size, *map(signed, names(sets)), pa.array(counts, pa.binary())], ["doc_id", "n_shingles", "high", "low", "counts"])
 
 
 class _Counts:
@@ -197,66 +208,42 @@ class _Counts:
         return out
 
 
-def _region_links(batches, measure: Measure):
-    """Links that connect, in each region, whatever documents may link in it; batches are sorted by key.
+def _may_link(batches, measure: Measure):
+    """Of pairs of sets those whose class counts don't rule a link out."""
+    for batch in batches:
+        n = len(batch)
+        size = np.concatenate([np.asarray(batch.column(c)) for c in ("n_a", "n_b")])
+        both = pa.concat_arrays([batch.column("counts_a"), batch.column("counts_b")])
+        near = _Counts(*bytes_of(both), size, measure).may_link(np.arange(n), np.arange(n) + n)
+        yield batch.select(["a", "b"]).filter(pa.array(near))
 
-    In the L1 space of class counts the first document is the pivot; each one that may not link with an earlier pivot
-    becomes a pivot in turn and is held against all others. Then the others are held against those of other stars that
-    nothing connects with theirs.
-    """
+
+def _region_links(batches, measure: Measure):
+    """Links that connect, in each region, whatever sets of different groups may link in it; batches are sorted by key."""
     for table in runs(batches, ["key"]):
-        key, doc, size = (np.asarray(table.column(c)) for c in ("key", "doc_id", "n_shingles"))
+        key, rep, size, group = (np.asarray(table.column(c)) for c in ("key", "rep", "n_shingles", "component"))
         counts = _Counts(*bytes_of(table.column("counts").combine_chunks()), size, measure)
-        first = np.ones(len(key), bool)
-        first[1:] = key[1:] != key[:-1]
-        at = np.flatnonzero(first)
-        end = np.append(at[1:], len(key))
-        head = np.repeat(at, end - at)
-        own = np.arange(len(key))
-        near = counts.may_link(head, own)
-        pairs = [np.stack([doc[head[near]], doc[own[near]]], axis=1)]
-        alone = np.add.reduceat(~near, at)
-        for lo, hi in zip(at[alone > 0].tolist(), end[alone > 0].tolist(), strict=True):
-            if hi - lo < 3:
-                continue
-            links = _star_links(counts, np.arange(lo, hi), near[lo:hi])
-            if links:
-                pairs.append(doc[np.array(links) + lo])
-        found = np.concatenate(pairs)
-        found = np.unique(found[found[:, 0] != found[:, 1]], axis=0)
-        if len(found):
+        cut = np.concatenate([[0], np.flatnonzero(key[1:] != key[:-1]) + 1, [len(key)]]).tolist()
+        links = []
+        for lo, hi in zip(cut[:-1], cut[1:], strict=True):
+            links += [(a + lo, b + lo) for a, b in _group_links(counts, np.arange(lo, hi), group[lo:hi])]
+        if links:
+            found = rep[np.array(links)]
             yield pa.RecordBatch.from_arrays([pa.array(found[:, 0]), pa.array(found[:, 1])], ["a", "b"])
 
 
-def _star_links(counts: _Counts, every: np.ndarray, near: np.ndarray) -> list[tuple[int, int]]:
-    """Links beside the head's that connect all of a region that may link; near: what may link with the head."""
-    group = np.arange(len(every))
-    group[near] = 0
+def _group_links(counts: _Counts, every: np.ndarray, group: np.ndarray) -> list[tuple[int, int]]:
+    """One link less than the groups they connect: each set is held against those that nothing connects with it yet."""
+    group = np.unique(group, return_inverse=True)[1]
     links = []
-
-    def join(a: int, others: np.ndarray) -> None:
-        for g, b in dict(zip(group[others].tolist(), others.tolist(), strict=True)).items():
-            if g != group[a]:
-                links.append((a, b))
-                group[group == g] = group[a]
-
-    done = near.copy()
-    rest = near.copy()  # all but pivots, whose pairs are all tested
-    rest[0] = False
-    for pivot in np.flatnonzero(~near).tolist():
-        if done[pivot]:
-            rest[pivot] = True
-            continue
-        hit = np.flatnonzero(counts.may_link(np.full(len(every), every[pivot]), every))
-        done[hit] = True
-        join(pivot, hit)
-    rest = np.flatnonzero(rest)
-    for i, a in enumerate(rest.tolist()):
-        if (group[rest] == group[a]).all():
+    for a in range(len(every)):
+        if (group == group[0]).all():
             break
-        others = rest[i + 1 :][group[rest[i + 1 :]] != group[a]]
-        if len(others):
-            join(a, others[counts.may_link(np.full(len(others), every[a]), every[others])])
+        others = np.flatnonzero(group[a + 1 :] != group[a]) + a + 1
+        hit = others[counts.may_link(np.full(len(others), every[a]), every[others])] if len(others) else others
+        for g, b in dict(zip(group[hit].tolist(), hit.tolist(), strict=True)).items():
+            links.append((a, b))
+            group[group == g] = group[a]
     return links
 
 
@@ -285,9 +272,17 @@ def _overlap(pivot: np.ndarray, own: np.ndarray, offsets: np.ndarray) -> np.ndar
     return hit[offsets[1:]] - hit[offsets[:-1]]
 
 
-def join_region(sets: list[np.ndarray], measure: Measure) -> list[tuple[int, int]]:
-    """Links that connect whatever the links of these non-empty sets connect, by recursive pivot splits."""
+def join_region(sets: list[np.ndarray], measure: Measure, groups: np.ndarray | None = None) -> list[tuple[int, int]]:
+    """Links that connect whatever the links of these non-empty sets connect, by recursive pivot splits.
+
+    groups: what is connected already.
+    """
     forest = _Forest(len(sets))
+    if groups is not None:
+        _, first, own = np.unique(groups, return_index=True, return_inverse=True)
+        for i, g in enumerate(own.tolist()):
+            forest.join(int(first[g]), i)
+        forest.links.clear()
     size = np.array([len(s) for s in sets])
     window = 2 * (1 - measure.low / measure.high) + 1e-9
     todo = [(np.arange(len(sets)), 0)]
@@ -354,28 +349,21 @@ def _join_regions(batches, measure: Measure):
         group = np.stack([np.asarray(table.column(k)) for k in ("region", "i", "j")], axis=1)
         cut = np.concatenate([[0], np.flatnonzero((group[1:] != group[:-1]).any(axis=1)) + 1, [len(group)]])
         batch = table.combine_chunks().to_batches()
-        ids = np.asarray(table.column("doc_id"))
+        ids, known = np.asarray(table.column("doc_id")), np.asarray(table.column("joined"))
         sets = [s for b in batch for part in pieces(b) for s in shingle_sets(part.column("text"), measure.width)]
         out = []
-        for lo, hi in zip(cut[:-1], cut[1:], strict=True):
-            first: dict[bytes, int] = {}
-            for r in range(lo, hi):
-                tag = sets[r].tobytes()
-                if tag in first:
-                    out.append((ids[first[tag]], ids[r]))
-                elif tag:
-                    first[tag] = r
-            keep = list(first.values())
+        for lo, hi in zip(cut[:-1].tolist(), cut[1:].tolist(), strict=True):
+            keep = [r for r in range(lo, hi) if len(sets[r])]
             if len(keep) > 1:
-                out += [(ids[keep[a]], ids[keep[b]]) for a, b in join_region([sets[r] for r in keep], measure)]
+                out += [(ids[keep[a]], ids[keep[b]]) for a, b in join_region([sets[r] for r in keep], measure, known[keep])]
         if out:
             pairs = np.array(out, np.int64)
             yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], ["a", "b"])
 
 
 def summaries(docs: DataFrame, measure: Measure) -> DataFrame:
-    """doc_id, n_shingles and class counts of every row with an id."""
-    return _plain(docs).mapInArrow(partial(_summary, width=measure.width), "doc_id long, n_shingles long, counts binary")
+    """doc_id, n_shingles, the set's name and its class counts, of every row with an id."""
+    return _plain(docs).mapInArrow(partial(_summary, width=measure.width), "doc_id long, n_shingles long, high long, low long, counts binary")
 
 
 def _plain(docs: DataFrame) -> DataFrame:
@@ -383,34 +371,77 @@ def _plain(docs: DataFrame) -> DataFrame:
 
 
 def _shared_keys(docs: DataFrame, measure: Measure) -> DataFrame:
-    keys = docs.where("text is not null").mapInArrow(partial(_emit, measure=measure), "key long, doc_id long")
-    return keys.repartition("key").sortWithinPartitions("key", "doc_id").mapInArrow(_shared, "key long, doc_id long").distinct()
+    keys = docs.where("text is not null").mapInArrow(partial(_emit, measure=measure), "key long, high long, low long")
+    shared = keys.repartition("key").sortWithinPartitions("key", "high", "low").mapInArrow(_shared, "key long, high long, low long, first_high long, first_low long")
+    return shared.distinct()
+
+
+def _candidates(docs: DataFrame, sets: DataFrame, measure: Measure) -> DataFrame:
+    """(node, component) of sets that links may connect."""
+    shared = written(lambda: _shared_keys(docs, measure), "region-keys", large=True)
+    # each set with the least one that it shares a region with
+    least = shared.groupBy("high", "low").agg(F.min(F.struct("first_high", "first_low")).alias("f"))
+    pairs = least.select("high", "low", F.col("f.first_high").alias("fh"), F.col("f.first_low").alias("fl")).where("high <> fh or low <> fl")
+    own = lambda x: [F.col("rep").alias(x), F.col("n_shingles").alias(f"n_{x}"), F.col("counts").alias(f"counts_{x}")]
+    pairs = pairs.join(sets.select("high", "low", *own("a")), ["high", "low"]).join(sets.select(F.col("high").alias("fh"), F.col("low").alias("fl"), *own("b")), ["fh", "fl"])
+    links = lambda: pairs.select("a", "n_a", "counts_a", "b", "n_b", "counts_b").mapInArrow(partial(_may_link, measure=measure), "a long, b long")
+    near = written(lambda: components(links), "near")
+    # regions that still hold several groups
+    member = lambda: shared.select("key", "high", "low").join(sets.select("high", "low", "rep"), ["high", "low"]).join(near, F.col("rep") == F.col("node"), "left").select("key", "high", "low", "rep", F.coalesce("component", "rep").alias("component"))
+    rows = written(member, "region-sets")
+    open_ = rows.groupBy("key").agg(F.min("component").alias("p"), F.max("component").alias("q")).where("p < q").select("key")
+    rows = rows.join(open_, "key").join(sets.select("high", "low", "n_shingles", "counts"), ["high", "low"]).select("key", "rep", "component", "n_shingles", "counts")
+    more = lambda: rows.repartition("key").sortWithinPartitions("key", "rep").mapInArrow(partial(_region_links, measure=measure), "a long, b long")
+    return components(lambda: near.select(F.col("node").alias("a"), F.col("component").alias("b")).union(more()))
 
 
 def near_copies(docs: DataFrame, measure: Measure, held: DataFrame | None = None) -> DataFrame:
-    """(node, component) for each document that may link with another; all others stand alone.
+    """(node, component) for each document with a set: the smallest document that links connect with it.
 
-    Ids must be whole numbers. A component holds what links connect, directly or through others. held: the documents'
-    summaries, if written already.
+    Ids must be whole numbers. held: the documents' summaries, if written already.
     """
     docs = _plain(docs)
     held = held if held is not None else written(lambda: summaries(docs, measure), "summaries")
-    shared = written(lambda: _shared_keys(docs, measure), "region-keys")
-    joined = lambda: shared.join(held, "doc_id").repartition("key").sortWithinPartitions("key", "doc_id")
-    region = written(lambda: components(lambda: joined().mapInArrow(partial(_region_links, measure=measure), "a long, b long")), "regions")
-    return components(lambda: _joined(docs, region, measure))
+    by_set = lambda: held.where("n_shingles > 0").groupBy("high", "low").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n_shingles"), F.first("counts").alias("counts"))
+    sets = written(by_set, "sets")
+    region = written(lambda: _candidates(docs, sets, measure), "regions")
+    named = held.where("n_shingles > 0").select("doc_id", "high", "low").join(sets.select("high", "low", "rep"), ["high", "low"]).select("doc_id", "rep").distinct()
+    named = written(lambda: named, "named")
+    # different texts under one id are one document
+    least = named.groupBy("doc_id").agg(F.min("rep").alias("a"))
+    same = named.join(least, "doc_id").where("a < rep").select("a", F.col("rep").alias("b"))
+    found = components(lambda: _joined(docs, region, measure).union(same))
+    return named.join(found, F.col("rep") == F.col("node"), "left").groupBy(F.col("doc_id").alias("node")).agg(F.min(F.coalesce("component", "rep")).alias("component"))
 
 
 def _joined(docs: DataFrame, region: DataFrame, measure: Measure) -> DataFrame:
-    """Links that connect the documents of each region exactly; a large region is joined block by block."""
-    weight = docs.select("doc_id", F.coalesce(F.octet_length("text"), F.lit(0)).alias("weight")).join(region, F.col("doc_id") == F.col("node"))
-    blocks = F.greatest(F.ceil(F.sum("weight") / BLOCK_BYTES), F.ceil(F.count("*") / BLOCK_ROWS)).cast("int")
-    large = weight.groupBy("component").agg(blocks.alias("blocks")).where("blocks > 1")
-    dealt = weight.join(large, "component", "left").select("doc_id", F.col("component").alias("region"), F.coalesce("blocks", F.lit(1)).alias("blocks")).distinct()
+    """Links that connect the sets of each region exactly.
+
+    A large region is joined block by block, each with the region's first set; its pairs of blocks meet where that leaves
+    several groups.
+    """
+    shape = "a long, b long"
+    texts = docs.join(region, F.col("doc_id") == F.col("node")).select("doc_id", "text", F.col("component").alias("region"))
+    size = texts.groupBy("region").agg(F.count("*").alias("n"), F.sum(F.coalesce(F.octet_length("text"), F.lit(0))).alias("bytes"))
+    blocks = F.greatest(F.ceil(F.col("bytes") / BLOCK_BYTES), F.ceil(F.col("n") / BLOCK_ROWS)).cast("int")
+    size = written(lambda: size.where("n > 1").select("region", blocks.alias("blocks")), "region-sizes")
     own = F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int")
-    rows = docs.join(dealt, "doc_id").withColumn("own", own).withColumn("other", F.explode(F.expr("sequence(0, blocks - 1)")))
-    rows = rows.select("region", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "doc_id", "text")
-    return rows.repartition("region", "i", "j").sortWithinPartitions("region", "i", "j", "doc_id").mapInArrow(partial(_join_regions, measure=measure), "a long, b long")
+    rows = texts.join(size, "region").withColumn("own", own)
+    # the region's first set goes to every block
+    at = F.when(F.col("doc_id") == F.col("region"), F.expr("sequence(0, blocks - 1)")).otherwise(F.array("own"))
+    first = rows.select("region", F.explode(at).alias("i"), "doc_id", "text").select("region", "i", F.col("i").alias("j"), "doc_id", F.col("doc_id").alias("joined"), "text")
+    key = ["region", "i", "j"]
+    join = lambda r: r.repartition(*key).sortWithinPartitions(*key, "doc_id").mapInArrow(partial(_join_regions, measure=measure), shape)
+    links = written(lambda: join(first), "block-links", large=True)
+    large = size.where("blocks > 1")
+    if not large.take(1):
+        return links
+    now = written(lambda: components(lambda: links), "joined-blocks")
+    left = rows.where("blocks > 1").join(now, F.col("doc_id") == F.col("node"), "left").select("region", "blocks", "own", "doc_id", "text", F.coalesce("component", "doc_id").alias("joined"))
+    open_ = left.groupBy("region").agg(F.min("joined").alias("p"), F.max("joined").alias("q")).where("p < q").select("region")
+    both = left.join(open_, "region").withColumn("other", F.explode(F.expr("sequence(0, blocks - 1)"))).where("own <> other")
+    both = both.select("region", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "doc_id", "joined", "text")
+    return links.union(join(both))
 
 
 def jaccard_components(docs: DataFrame, measure: Measure) -> DataFrame:
@@ -423,7 +454,4 @@ def jaccard_components(docs: DataFrame, measure: Measure) -> DataFrame:
 def keep_first(docs: DataFrame, measure: Measure) -> DataFrame:
     """The documents without all but the first of each component."""
     later = near_copies(docs, measure).where("node <> component").select(F.col("node").alias("doc_id"))
-    return docs.join(later, "doc_id", "left_anti").select(docs.columns)
-
-
-
+    return docs.join(later, "doc_id", "left_anti").select([quoted(c) for c in docs.columns])

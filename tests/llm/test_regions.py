@@ -21,7 +21,7 @@ def test_links_between_members_of_different_stars(spark):
     assert got == {i: i // 4 * 4 for i, _ in rows}
 
 
-def test_star_links_connect_all_that_may_link():
+def test_group_links_connect_all_that_may_link():
     r = np.random.default_rng(4)
     for _ in range(40):
         n, many = int(r.integers(3, 40)), 64
@@ -32,14 +32,59 @@ def test_star_links_connect_all_that_may_link():
             flat.append(own)
         size = np.array([x.sum() for x in flat])
         counts = jaccard._Counts(np.concatenate(flat).astype(np.uint8), np.arange(n + 1) * many, size, M)
-        every = np.arange(n)
-        near = counts.may_link(np.zeros(n, np.int64), every)
+        known = r.integers(0, n, n)
 
         def connected(links):
-            group = list(range(n))  # noqa: B023
+            group = known.tolist()  # noqa: B023
             for a, b in links:
                 group = [min(group[a], group[b]) if g in (group[a], group[b]) else g for g in group]
-            return group
+            return [[i for i, h in enumerate(group) if h == g] for g in group]
 
         plain = connected([(a, b) for a in range(n) for b in range(a) if counts.may_link(np.array([a]), np.array([b]))[0]])
-        assert connected([(0, int(i)) for i in np.flatnonzero(near)] + jaccard._star_links(counts, every, near)) == plain
+        links = jaccard._group_links(counts, np.arange(n), known)
+        assert connected(links) == plain and len(links) < len(set(known.tolist()))
+
+
+def test_pivot_splits_decide(monkeypatch):
+    """Regions above the leaf size are split by pivots, without loss, and leaves see a part of the pairs only."""
+    r, seen, leaf = np.random.default_rng(5), [], jaccard._leaf
+
+    def counted(sets, rows, *more):
+        seen.append(len(rows))
+        return leaf(sets, rows, *more)
+
+    monkeypatch.setattr(jaccard, "_leaf", counted)
+    sets, own = [], r.integers(0, 2**63, 100, dtype=np.int64).astype(np.uint64)
+    for i in range(240):
+        own = own.copy()
+        own[r.integers(0, 100, 20 if i % 60 == 59 else 1)] = r.integers(0, 2**63)
+        sets.append(np.unique(own))
+    links = jaccard.join_region(sets, M)
+    group = list(range(len(sets)))
+    for a, b in links:
+        group = [min(group[a], group[b]) if g in (group[a], group[b]) else g for g in group]
+    want = list(range(len(sets)))
+    for a in range(len(sets)):
+        for b in range(a):
+            inter = len(np.intersect1d(sets[a], sets[b]))
+            if 100 * inter >= 85 * (len(sets[a]) + len(sets[b]) - inter):
+                want = [min(want[a], want[b]) if g in (want[a], want[b]) else g for g in want]
+    assert group == want and sum(n * n for n in seen) < len(sets) ** 2 and len(seen) != 1
+
+
+def test_blocks_meet_where_their_first_set_does_not_connect_them(spark, monkeypatch):
+    """Chains of links across blocks, copies, different texts under one id."""
+    monkeypatch.setattr(jaccard, "BLOCK_ROWS", 4)
+    r, rows = random.Random(8), []
+    for c in range(12):
+        words = [f"c{c}w{r.randrange(10**9)}" for _ in range(40)]
+        for k in range(25):
+            rows.append((len(rows), " ".join(words)))
+            words[r.randrange(40)] = f"n{r.randrange(10**9)}"
+    rows += [(i + 1000, rows[i][1]) for i in range(0, 300, 7)] + [(900, None), (901, ""), (902, "a b")]
+    want = groups(rows, 4, 85)
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
+    got = {x.doc_id: (x.n_shingles, x.component_id) for x in jaccard.jaccard_components(docs, M).collect()}
+    assert got == want
+    two = spark.createDataFrame([(1, rows[0][1]), (5, rows[0][1]), (5, rows[40][1]), (7, rows[40][1])], "doc_id long, text string")
+    assert {x.doc_id: x.component_id for x in jaccard.jaccard_components(two, M).collect()} == {1: 1, 5: 1, 7: 1}
