@@ -197,8 +197,8 @@ def repeated_windows(docs: DataFrame, depth: int = DEPTH, gram: int = GRAM) -> D
     """doc_id, n_bytes, n_removed, n_spans, kept (binary) and removed (flat list of byte bounds) of every row."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).where("doc_id is not null")
     tag = F.xxhash64("text")
-    copy = written(lambda: _copies(docs), "copies")
-    shared = written(lambda: _shared_grams(docs, copy, depth, gram), "shared-grams")
+    copy = written(lambda: _copies(docs), "copies", large=True)
+    shared = written(lambda: _shared_grams(docs, copy, depth, gram), "shared-grams", large=True)
     lists = shared.groupBy("doc_id").agg(F.collect_list("gram").alias("grams"))
     rows = docs.join(lists, "doc_id").select("doc_id", tag.alias("tag"), "text", "grams")
     stretches = rows.mapInArrow(partial(_stretches, depth=depth, gram=gram), "gram long, doc_id long, tag long, first long, joint binary")
