@@ -23,6 +23,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ebbset.llm._spark import quoted
 from ebbset.llm._text import IS_SPACE, bytes_of, pieces, words_of
 
 ORDER = 4
@@ -31,6 +32,9 @@ SAMPLE, HELD = 1000, 1
 FOLD = np.arange(256, dtype=np.uint8)
 FOLD[65:91] += 32
 UNDETERMINED = "und"
+#: Bits a byte from which a text is in none of the learned languages. Measured on sf0.1: median 2.0, 99.9 % of the texts
+#: below 4.3, the highest 7.1 (little but card numbers and keys); letters at random take 6 to 8, other scripts more.
+KNOWN = 6.0
 
 
 def words_in(text: pa.Array) -> tuple[pa.DictionaryArray, np.ndarray]:
@@ -203,18 +207,22 @@ def digest(docs: DataFrame) -> DataFrame:
     return found.select("doc_id", held.alias("held_out"), "lang_pred", "score", "bits_per_byte")
 
 
-def _kept(batches, model, names: list[str], most: float):
+def _kept(batches, model, place: int, most: float):
     trees: Trees = model.value
     for batch in batches:
-        for part in pieces(batch):
-            letter = np.asarray(pc.fill_null(pc.match_substring_regex(part.column("text"), r"\p{L}"), False))
+        name = batch.schema.names[place]
+        for part in pieces(batch, name):
+            text = part.column(place).cast(pa.string())
+            letter = np.asarray(pc.fill_null(pc.match_substring_regex(text, r"\p{L}"), False))
             if trees.langs:
-                bits, coded = trees.text_lengths(part.column("text"))
+                bits, coded = trees.text_lengths(text)
                 letter &= bits.min(axis=1) < most * np.maximum(coded, 1)
-            yield part.filter(pa.array(letter)).select(names)
+            yield part.filter(pa.array(letter))
 
 
-def keep_known(docs: DataFrame, most: float = 8.0) -> DataFrame:
-    """The documents that have a letter and that some language codes in less than `most` bits a byte (8: no model)."""
-    model = docs.sparkSession.sparkContext.broadcast(train(docs))
-    return docs.mapInArrow(partial(_kept, model=model, names=docs.columns, most=most), docs.schema)
+def keep_known(docs: DataFrame, most: float = KNOWN) -> DataFrame:
+    """The documents that have a letter and that some language codes in less than `most` bits a byte."""
+    model = docs.sparkSession.sparkContext.broadcast(train(docs if "lang" in docs.columns else docs.withColumn("lang", F.lit(None).cast("string"))))
+    kept = docs.select(*[quoted(c) for c in docs.columns])
+    place = [c.lower() for c in docs.columns].index("text")
+    return kept.mapInArrow(partial(_kept, model=model, place=place, most=most), docs.schema)

@@ -126,8 +126,9 @@ def _spans_of(rank: int, kind: Kind, matches: str, gaps: str, lengths: str) -> C
 def find(docs: DataFrame, text: str = "text", to: str = "spans") -> DataFrame:
     """Adds an array of spans (start, rank, kind, end, score, base), by start, then kind as listed."""
     names = docs.columns
-    own = [F.col(f"`{c}`") for c in names]
-    plain = F.coalesce(F.col(f"`{text}`").cast("string"), F.lit(""))
+    own = [f"c{i}" for i in range(len(names))]  # so that no name can clash with those used here
+    docs = docs.toDF(*own)
+    plain = F.coalesce(F.col(own[[c.lower() for c in names].index(text.lower())]).cast("string"), F.lit(""))
     matches = []
     for r, k in enumerate(KINDS):
         may = F.contains(plain, F.lit(k.needs)) if len(k.needs) == 1 else plain.rlike(k.needs)
@@ -137,7 +138,7 @@ def find(docs: DataFrame, text: str = "text", to: str = "spans") -> DataFrame:
     found = found.select("*", *gaps)
     found = found.select("*", *[_lengths(f"__m{r}", f"__g{r}").alias(f"__l{r}") for r in range(len(KINDS))])
     spans = [_spans_of(r, k, f"__m{r}", f"__g{r}", f"__l{r}") for r, k in enumerate(KINDS)]
-    return found.select(*own, F.array_sort(F.concat(*spans)).alias(to))
+    return found.select(*own, F.array_sort(F.concat(*spans)).alias("s")).toDF(*names, to)
 
 
 def mask(text: Column, spans: Column) -> Column:
