@@ -61,6 +61,11 @@ def quoted(name: str) -> str:
     return f"`{name.replace('`', '``')}`"
 
 
+def numbered(df: DataFrame) -> DataFrame:
+    """The table with columns called c0, c1 and so on, as Arrow functions can't refer to every name."""
+    return df.toDF(*[f"c{i}" for i in range(len(df.columns))])
+
+
 def unused(df: DataFrame, name: str) -> str:
     """A column name that the table doesn't have."""
     taken = {c.lower() for c in df.columns}

@@ -23,7 +23,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ebbset.llm._spark import quoted
+from ebbset.llm._spark import numbered
 from ebbset.llm._text import IS_SPACE, bytes_of, pieces, words_of
 
 ORDER = 4
@@ -223,6 +223,6 @@ def _kept(batches, model, place: int, most: float):
 def keep_known(docs: DataFrame, most: float = KNOWN) -> DataFrame:
     """The documents that have a letter and that some language codes in less than `most` bits a byte."""
     model = docs.sparkSession.sparkContext.broadcast(train(docs if "lang" in docs.columns else docs.withColumn("lang", F.lit(None).cast("string"))))
-    kept = docs.select(*[quoted(c) for c in docs.columns])
     place = [c.lower() for c in docs.columns].index("text")
-    return kept.mapInArrow(partial(_kept, model=model, place=place, most=most), docs.schema)
+    rows = numbered(docs)
+    return rows.mapInArrow(partial(_kept, model=model, place=place, most=most), rows.schema).toDF(*docs.columns)
