@@ -6,8 +6,9 @@ rank. The literal is an array of small maps found by a hash of the key, since on
 to end. Replacing all places at once keeps a long word to as many steps as it has distinct merges.
 
 Each distinct word is folded once a task, not once an occurrence: a task's rows name their words by numbers, and a word
-travels with the first row that has it. After about WORDS words a task begins anew, which bounds its memory; nothing is
-broadcast, shuffled or collected. Decoding concatenates the tokens' binary pieces, word by word in Spark, and the words'
+travels with the first row that has it. After about WORDS words a task begins anew, which bounds its memory. Words that
+most parts of the corpus have are folded once for all: they are broadcast with their tokens, COMMON bytes of them at
+most, so that the fold's work grows with the words and not with the tasks. Decoding concatenates the tokens' binary pieces, word by word in Spark, and the words'
 bytes by row on Arrow batches.
 
 Defined results: null text counts as empty and gives no ids; repeated rows are encoded alike; extra columns are ignored.
@@ -26,11 +27,14 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ebbset.llm._spark import written
 from ebbset.llm._text import list_array, pieces
 from ebbset.llm.tokens import byte_ranks, gather, split_pieces, vocabulary
 
 #: A task numbers about so many distinct words before it begins anew.
-WORDS = 500_000
+WORDS = 300_000
+#: Bytes of words that are folded beforehand and broadcast, and of text that a task splits at a time.
+COMMON, CHUNK = 4 << 20, 1 << 20
 SLOTS = 1 << 16
 #: A token's character is its id plus this, past the surrogates from there on.
 FIRST, SURROGATES, GAP = 256, 0xD800, 2048
@@ -111,28 +115,52 @@ def _plain(docs: DataFrame) -> DataFrame:
     return docs.select("doc_id", F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
 
 
-def _numbered(batches, most: int):
-    """Each row's words as numbers, with the words that no row before it has; `anew` where the numbers begin at 0 again."""
-    known, anew = pa.array([], pa.binary()), True
+def _distinct(batches):
     for batch in batches:
         for part in pieces(batch):
-            if len(known) > most:
-                known, anew = known.slice(0, 0), True
+            words = split_pieces(part.column("text"))[0].unique()
+            yield pa.RecordBatch.from_arrays([words], ["word"])
+
+
+def common(docs: DataFrame, ranks: dict[bytes, int], most: int = COMMON) -> pa.Table:
+    """word, ids, texts of the words that the most stretches of a few MB have, about `most` bytes of them at most."""
+    level = F.floor(F.log2(F.count("*")) * 8).cast("int")
+    counts = written(lambda: _plain(docs).mapInArrow(_distinct, "word binary").groupBy("word").agg(level.alias("level")).where("level > 0"), "word-counts")
+    sizes = counts.groupBy("level").agg(F.sum(F.octet_length("word")).alias("n")).collect()  # some hundred rows
+    share, left = {}, most
+    for r in sorted(sizes, key=lambda r: -r.level):
+        share[r.level] = min(1.0, left / max(1, r.n))
+        left = max(0, left - r.n)
+    part = F.create_map(*[F.lit(x) for pair in share.items() for x in pair]) if share else F.create_map(F.lit(0), F.lit(0.0))
+    chosen = counts.where(F.pmod(F.xxhash64("word"), F.lit(1 << 20)) < F.element_at(part, F.col("level")) * (1 << 20))
+    folded = chosen.select("word", tokens_of(merges(F.col("word"), ranks)).alias("ids"))
+    return folded.select("word", "ids", decoded(F.col("ids"), ranks).alias("texts")).toArrow()
+
+
+def _numbered(batches, words, most: int):
+    """Each row's words as numbers, with the words that neither the common ones nor a row before it have; `anew` where
+    the numbers begin after the common ones again."""
+    fixed = words.value[0]
+    known, anew = fixed, True
+    for batch in batches:
+        for part in pieces(batch, most=CHUNK):
+            if len(known) > len(fixed) + most:
+                known, anew = fixed, True
             found, first = split_pieces(part.column("text"))
-            index = np.asarray(pc.fill_null(pc.index_in(found, value_set=known), -1)).astype(np.int64)
-            row = np.repeat(np.arange(len(part)), np.diff(first))
-            lost = np.flatnonzero(index < 0)
-            coded = found.take(pa.array(lost)).dictionary_encode()
+            coded = found.dictionary_encode()
+            place = np.asarray(pc.fill_null(pc.index_in(coded.dictionary, value_set=known), -1)).astype(np.int64)
+            fresh = place < 0
+            place[fresh] = len(known) + np.arange(int(fresh.sum()))
             number = np.asarray(coded.indices)
-            index[lost] = len(known) + number
             # words are numbered as they appear, so a row's new ones are a stretch
-            opening = np.unique(number, return_index=True)[1]
-            begin = np.searchsorted(row[lost][opening], np.arange(len(part) + 1)).astype(np.int32)
+            opening = np.unique(number, return_index=True)[1][fresh]
+            begin = np.searchsorted(opening, first).astype(np.int32)
             reset = np.zeros(len(part), bool)
             reset[:1], anew = anew, False
-            known = pa.concat_arrays([known, coded.dictionary])
+            new = coded.dictionary.filter(pa.array(fresh))
+            known = pa.concat_arrays([known, new])
             yield pa.RecordBatch.from_arrays(
-                [part.column("doc_id"), list_array(index.astype(np.int32), first, pa.int32()), pa.ListArray.from_arrays(pa.array(begin), coded.dictionary), pa.array(reset)],
+                [part.column("doc_id"), list_array(place[number].astype(np.int32), first, pa.int32()), pa.ListArray.from_arrays(pa.array(begin), new), pa.array(reset)],
                 ["doc_id", "codes", "fresh", "anew"],
             )
 
@@ -143,8 +171,8 @@ class _Words:
     def __init__(self, kind):
         self.flat, self.ends, self.n, self.used = np.zeros(1 << 16, kind), np.zeros(1 << 12, np.int64), 0, 0
 
-    def clear(self) -> None:
-        self.n = self.used = 0
+    def cut(self, n: int) -> None:
+        self.n, self.used = n, int(self.ends[n - 1]) if n else 0
 
     def add(self, size: np.ndarray, flat: np.ndarray) -> None:
         while self.used + len(flat) > len(self.flat):
@@ -159,9 +187,12 @@ class _Words:
         return gather(np.diff(self.ends[: self.n], prepend=0), self.flat, index, first)
 
 
-def _joined(batches):
-    """Ids of each row and the bytes they decode to, from the words seen so far."""
+def _joined(batches, words):
+    """Ids of each row and the bytes they decode to, from the common words and those seen so far."""
     ids, texts = _Words(np.int32), _Words(np.uint8)
+    fixed = words.value
+    ids.add(fixed[1], fixed[2])
+    texts.add(fixed[3], fixed[4])
     for batch in batches:
         cut = np.flatnonzero(np.asarray(batch.column("anew")))
         for a, b in zip([0, *cut.tolist()], [*cut.tolist(), len(batch)], strict=True):
@@ -169,8 +200,8 @@ def _joined(batches):
                 continue
             part = batch.slice(a, b - a)
             if part.column("anew")[0].as_py():
-                ids.clear()
-                texts.clear()
+                ids.cut(len(fixed[1]))
+                texts.cut(len(fixed[1]))
             lists, raw = part.column("ids").flatten(), part.column("texts").flatten()
             ids.add(np.asarray(pc.list_value_length(lists), np.int64), np.asarray(lists.flatten()))
             texts.add(np.asarray(pc.binary_length(raw), np.int64), np.frombuffer(b"".join(raw.to_pylist()), np.uint8))
@@ -185,14 +216,22 @@ def _joined(batches):
             )
 
 
-def encode(docs: DataFrame, path: str | None = None, words: int = WORDS) -> DataFrame:
+def encode(docs: DataFrame, path: str | None = None, words: int = WORDS, most: int = COMMON) -> DataFrame:
     """doc_id, ids (array) and decoded (binary) of each row. path: the file of ranks."""
     ranks = byte_ranks(path or vocabulary("byte_bpe_50k.tiktoken"))
     kind = docs.schema["doc_id"].dataType.simpleString()
-    rows = _plain(docs).mapInArrow(partial(_numbered, most=words), f"doc_id {kind}, codes array<int>, fresh array<binary>, anew boolean")
+    table = common(docs, ranks, most).combine_chunks()
+    word, lists, texts = (pa.concat_arrays(table.column(c).chunks) if table.num_rows else None for c in ("word", "ids", "texts"))
+    none = np.zeros(0, np.int64), np.zeros(0, np.int32), np.zeros(0, np.int64), np.zeros(0, np.uint8)
+    held = (pa.array([], pa.binary()), *none)
+    if word is not None:
+        sizes = np.asarray(lists.value_lengths(), np.int64), np.asarray(pc.binary_length(texts), np.int64)
+        held = (word.cast(pa.binary()), sizes[0], np.asarray(lists.flatten()).astype(np.int32), sizes[1], np.frombuffer(b"".join(texts.to_pylist()), np.uint8))
+    shared = docs.sparkSession.sparkContext.broadcast(held)
+    rows = _plain(docs).mapInArrow(partial(_numbered, words=shared, most=words), f"doc_id {kind}, codes array<int>, fresh array<binary>, anew boolean")
     rows = rows.select("doc_id", "codes", "anew", F.transform("fresh", lambda w: tokens_of(merges(w, ranks))).alias("ids"))
     rows = rows.select("doc_id", "codes", "anew", "ids", F.transform("ids", lambda i: decoded(i, ranks)).alias("texts"))
-    return rows.mapInArrow(_joined, f"doc_id {kind}, ids array<int>, decoded binary")
+    return rows.mapInArrow(partial(_joined, words=shared), f"doc_id {kind}, ids array<int>, decoded binary")
 
 
 def _digests(batches):

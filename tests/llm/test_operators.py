@@ -302,10 +302,13 @@ def test_folds_of_few_letters_runs_and_long_words(spark):
     ranks = tokens.byte_ranks(tokens.vocabulary("byte_bpe_50k.tiktoken"))
     t = tiktoken.Encoding("t", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
     docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
-    for words in (bpe.WORDS, 20):
-        got = {x.doc_id: x for x in bpe.encode(docs, words=words).collect()}
+    docs = docs.union(docs.selectExpr("doc_id + 1000", "text"))
+    texts += [None] * (1000 - len(texts)) + texts
+    for words, most in ((bpe.WORDS, bpe.COMMON), (20, 100), (20, 0)):
+        got = {x.doc_id: x for x in bpe.encode(docs, words=words, most=most).collect()}
         for i, x in enumerate(texts):
-            assert got[i].ids == t.encode_ordinary(x or "") and bytes(got[i].decoded) == (x or "").encode()
+            assert i not in got or got[i].ids == t.encode_ordinary(x or "") and bytes(got[i].decoded) == (x or "").encode()
+        assert len(got) == docs.count()
 
 
 def test_token_files(spark, docs, none, rows, tmp_path):
