@@ -35,6 +35,8 @@ from ebbset.llm.tokens import byte_ranks, gather, split_pieces, vocabulary
 WORDS = 300_000
 #: Bytes of words that are folded beforehand and broadcast, and of text that a task splits at a time.
 COMMON, CHUNK = 4 << 20, 1 << 20
+#: Words whose tokens are put together at a time (or those of one document).
+GATHER = 200_000
 SLOTS = 1 << 16
 #: A token's character is its id plus this, past the surrogates from there on.
 FIRST, SURROGATES, GAP = 256, 0xD800, 2048
@@ -205,15 +207,22 @@ def _joined(batches, words):
             lists, raw = part.column("ids").flatten(), part.column("texts").flatten()
             ids.add(np.asarray(pc.list_value_length(lists), np.int64), np.asarray(lists.flatten()))
             texts.add(np.asarray(pc.binary_length(raw), np.int64), np.frombuffer(b"".join(raw.to_pylist()), np.uint8))
-            codes = part.column("codes")
-            index = np.asarray(codes.flatten()).astype(np.int64)
-            first = np.concatenate([[0], np.cumsum(np.asarray(codes.value_lengths()))]).astype(np.int64)
-            found, ends = ids.take(index, first)
-            back, bounds = texts.take(index, first)
-            yield pa.RecordBatch.from_arrays(
-                [part.column("doc_id"), list_array(found, ends, pa.int32()), pa.Array.from_buffers(pa.binary(), len(part), [None, pa.py_buffer(bounds.astype(np.int32).tobytes()), pa.py_buffer(back.tobytes())])],
-                ["doc_id", "ids", "decoded"],
-            )
+            ends = np.cumsum(np.asarray(part.column("codes").value_lengths()))
+            lo = 0
+            while lo < len(part):
+                hi = max(lo + 1, int(np.searchsorted(ends, (ends[lo - 1] if lo else 0) + GATHER, side="right")))
+                yield _gathered(part.slice(lo, hi - lo), ids, texts)
+                lo = hi
+
+
+def _gathered(part: pa.RecordBatch, ids: _Words, texts: _Words) -> pa.RecordBatch:
+    codes = part.column("codes")
+    index = np.asarray(codes.flatten()).astype(np.int64)
+    first = np.concatenate([[0], np.cumsum(np.asarray(codes.value_lengths()))]).astype(np.int64)
+    found, ends = ids.take(index, first)
+    back, bounds = texts.take(index, first)
+    raw = pa.Array.from_buffers(pa.binary(), len(part), [None, pa.py_buffer(bounds.astype(np.int32).tobytes()), pa.py_buffer(back.tobytes())])
+    return pa.RecordBatch.from_arrays([part.column("doc_id"), list_array(found, ends, pa.int32()), raw], ["doc_id", "ids", "decoded"])
 
 
 def encode(docs: DataFrame, path: str | None = None, words: int = WORDS, most: int = COMMON) -> DataFrame:
