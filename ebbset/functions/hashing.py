@@ -34,3 +34,10 @@ PRIME = (1 << 31) - 1
 def coefficient(x: Column, ab: tuple[int, int]) -> Column:
     """A field element from 1 to PRIME - 1 per item, for linear sketches."""
     return F.pmod(shift_hash(x, ab, 31), F.lit(PRIME - 1)) + 1
+
+
+def field_hash(x: Column, ab: tuple[int, int]) -> Column:
+    """(a x + b) modulo 2**61 - 1, for items below 2**31: a wider family, at the price of decimal arithmetic."""
+    a, b = ab
+    whole = F.lit(str(a)).cast("decimal(20,0)") * x.cast("decimal(10,0)") + F.lit(str(b)).cast("decimal(20,0)")
+    return F.pmod(whole, F.lit(str((1 << 61) - 1)).cast("decimal(20,0)")).cast("long")

@@ -46,14 +46,62 @@ def all_pairs(cards: DataFrame) -> DataFrame:
 
 
 def spark_ml_minhash(net: DataFrame, universe_bits: int = 18, tables: int = 8, most: float = 0.5) -> DataFrame:
-    """Spark's own MinHashLSH as an outside reference."""
-    from pyspark.ml.feature import MinHashLSH
-    from pyspark.ml.linalg import Vectors, VectorUDT
+    """Spark's own MinHashLSH as an outside reference; vectors are made on the JVM."""
+    from pyspark.ml.feature import CountVectorizerModel, MinHashLSH
 
     size = 1 << universe_bits
-    held = net.groupBy("set_id").agg(F.sort_array(F.collect_set((hash_input(F.col("item_id")) % size).cast("int"))).alias("i"))
-    sparse = F.udf(lambda i: Vectors.sparse(size, i, [1.0] * len(i)), VectorUDT())
-    rows = held.select("set_id", sparse("i").alias("features"))
+    held = net.groupBy("set_id").agg(F.collect_set((hash_input(F.col("item_id")) % size).cast("string")).alias("i"))
+    vectors = CountVectorizerModel.from_vocabulary([str(i) for i in range(size)], inputCol="i", outputCol="features", minTF=1.0)
+    rows = vectors.transform(held).select("set_id", "features")
     model = MinHashLSH(inputCol="features", outputCol="hashes", numHashTables=tables, seed=5).fit(rows)
     near = model.approxSimilarityJoin(rows, rows, most, distCol="distance").where("datasetA.set_id < datasetB.set_id")
     return near.select(F.col("datasetA.set_id").alias("left_id"), F.col("datasetB.set_id").alias("right_id"), F.round("distance", 6).alias("distance"))
+
+
+class StoredProfiles:
+    """Min-hash that is right under removals because it keeps the whole set, and reads it again whenever an item that may
+    hold a minimum goes."""
+
+    def __init__(self, p: SketchParams):
+        self.hashes = p.draw("minhash", p.rows * p.bands)
+        self.items: dict[int, int] = {}
+        self.sig: list[int] | None = None
+        self.evaluated = self.rescans = 0
+
+    def _ranks(self, x: int) -> list[int]:
+        self.evaluated += len(self.hashes)
+        return [((a * x + b) & 0xFFFFFFFF) >> (32 - SIGNATURE_BITS) for a, b in self.hashes]
+
+    def update(self, item: int, x: int, delta: int, inputs: dict[int, int]) -> None:
+        was = self.items.get(item, 0) > 0
+        self.items[item] = self.items.get(item, 0) + delta
+        now = self.items[item] > 0
+        if not self.items[item]:
+            del self.items[item]
+        if now and not was:
+            new = self._ranks(x)
+            self.sig = new if self.sig is None else list(map(min, self.sig, new))
+        elif was and not now:
+            self.rescans += 1
+            rows = [self._ranks(inputs[i]) for i, n in self.items.items() if n > 0]
+            self.sig = [min(c) for c in zip(*rows, strict=True)] if rows else None
+
+
+def _online(rows, p: SketchParams):
+    import pandas as pd
+
+    own = StoredProfiles(p)
+    inputs = dict(zip(rows.item_id.tolist(), rows.x.tolist(), strict=True))
+    order = rows.sort_values(["ts", "seq", "item_id", "delta"], ascending=[True, True, True, False])
+    for item, x, delta in zip(order.item_id.tolist(), order.x.tolist(), order.delta.tolist(), strict=True):
+        own.update(item, x, delta, inputs)
+    sig = [] if own.sig is None else [own.sig]
+    return pd.DataFrame({"set_id": rows.set_id.iloc[0], "sig": sig, "evaluated": own.evaluated, "rescans": own.rescans})
+
+
+def online_minhash(updates: DataFrame, p: SketchParams) -> DataFrame:
+    """set_id, sig, evaluated, rescans: updates replayed in order, one set at a time (a selection of sets)."""
+    from functools import partial
+
+    rows = updates.withColumn("x", hash_input(F.col("item_id"))).select("set_id", "item_id", "x", "delta", "ts", "seq")
+    return rows.groupBy("set_id").applyInPandas(partial(_online, p=p), "set_id long, sig array<int>, evaluated long, rescans long")

@@ -6,7 +6,7 @@ from functools import partial
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ebbset.functions.hashing import shift_hash
@@ -59,24 +59,75 @@ def signatures_fast(held: DataFrame, p: SketchParams) -> DataFrame:
 
 
 def bands(signed: DataFrame, p: SketchParams) -> DataFrame:
-    """(set_id, level, card, band, band_key)."""
+    """(set_id, level, card, band, band_key), keys spelled out."""
     keys = F.array(*[F.array_join(F.slice("sig", j * p.rows + 1, p.rows), "-") for j in range(p.bands)])
     return signed.select("set_id", "level", "card", F.posexplode(keys).alias("band", "band_key"))
 
 
+def hashed_bands(signed: DataFrame, p: SketchParams) -> DataFrame:
+    """The same with 64-bit keys, for production: keys that collide can only add candidates."""
+    keys = F.array(*[F.xxhash64(F.slice("sig", j * p.rows + 1, p.rows)) for j in range(p.bands)])
+    return signed.select("set_id", "level", "card", F.posexplode(keys).alias("band", "band_key"))
+
+
 def candidates(banded: DataFrame, r1: float) -> DataFrame:
     """Pairs with an equal band at a common level and a size ratio of r1 at least.
 
-    Band keys that one set alone has are dropped before the join.
+    Band keys that one set alone has are dropped before the join, on the join's own partitioning.
     """
     key = ["level", "band", "band_key"]
-    met = banded.groupBy(*key).agg(F.count("*").alias("n")).where("n > 1").drop("n")
-    rows = banded.join(met, key, "left_semi")
+    rows = banded.withColumn("n", F.count("*").over(Window.partitionBy(*key))).where("n > 1").drop("n")
     left, right = rows.withColumnsRenamed({"set_id": "left_id", "card": "a"}), rows.withColumnsRenamed({"set_id": "right_id", "card": "b"})
     fits = (F.col("a") >= r1 * F.col("b")) & (F.col("b") >= r1 * F.col("a"))
     return left.join(right, key).where((F.col("left_id") < F.col("right_id")) & fits).select("left_id", "right_id").distinct()
 
 
+def between(banded: DataFrame, queries: DataFrame, r1: float) -> DataFrame:
+    """(query_id, set_id) of new sets, banded alike, and those of a stored index that share a band with them."""
+    key = ["level", "band", "band_key"]
+    q = queries.withColumnsRenamed({"set_id": "query_id", "card": "a"})
+    fits = (F.col("a") >= r1 * F.col("card")) & (F.col("card") >= r1 * F.col("a"))
+    return q.join(banded, key).where(fits & (F.col("query_id") != F.col("set_id"))).select("query_id", "set_id").distinct()
+
+
+def sorted_candidates(banded: DataFrame, r1: float) -> DataFrame:
+    """The same pairs as candidates(), from runs of equal keys in sorted partitions instead of a join."""
+    rows = banded.repartition("band_key").sortWithinPartitions("level", "band", "band_key", "set_id")
+    kind = banded.schema["band_key"].dataType.simpleString()
+    rows = rows.select("level", "band", F.col("band_key").cast("string"), "set_id", "card") if kind != "string" else rows
+    return rows.select("level", "band", "band_key", "set_id", "card").mapInArrow(partial(_run_pairs, r1=r1), "left_id long, right_id long").distinct()
+
+
+def _run_pairs(batches, r1: float):
+    """Each set with those before it in its run; a run is held, as all its pairs are the answer."""
+    last, run = None, []
+    for batch in batches:
+        out = []
+        for level, band, key, own, card in zip(*(batch.column(c).to_pylist() for c in ("level", "band", "band_key", "set_id", "card")), strict=True):
+            if (level, band, key) != last:
+                last, run = (level, band, key), []
+            out += [(other, own) for other, size in run if other != own and size >= r1 * card and card >= r1 * size]
+            run.append((own, card))
+        if out:
+            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*out, strict=True)], ["left_id", "right_id"])
+
+
+def signature_classes(signed: DataFrame) -> DataFrame:
+    """(set_id, rep): sets with equal signatures at all their levels, named by the smallest.
+
+    Pairs of representatives and this membership say all that pairs of members would, without their square.
+    """
+    whole = signed.groupBy("set_id").agg(F.sort_array(F.collect_list(F.struct("level", F.xxhash64("sig").alias("h")))).alias("all"))
+    named = whole.select("set_id", F.xxhash64("all").alias("name"))
+    return named.join(named.groupBy("name").agg(F.min("set_id").alias("rep")), "name").select("set_id", "rep")
+
+
+def fixed_level(cards: DataFrame, level: int) -> DataFrame:
+    """(set_id, card, level) with one level for all sets: similarities that weigh what neither set has depend on the
+    universe, not on the sets' sizes."""
+    return cards.select("set_id", "card", F.lit(level).alias("level"))
+
+
 def size_candidates(cards: DataFrame, r1: float) -> DataFrame:
     """Pairs whose sizes are within the ratio r1: a range join made an equality join on logarithmic size classes."""
     width = F.floor(F.log(F.col("card").cast("double")) / F.log(F.lit(1 / r1)))

@@ -97,7 +97,7 @@ def cards_sql(net: str) -> str:
 
 
 def bands_sql(stream: str, p: P.SketchParams) -> str:
-    funcs = ", ".join(f"({i}, {a}, {b})" for i, (a, b) in enumerate(p.draw("minhash", p.rows * p.bands)))
+    funcs = ", ".join(f"({i}, {a}::BIGINT, {b}::BIGINT)" for i, (a, b) in enumerate(p.draw("minhash", p.rows * p.bands)))
     return f"""SELECT set_id, level, card, f // {p.rows} AS band, string_agg(m::VARCHAR, '-' ORDER BY f) AS band_key FROM (
         SELECT c.set_id, c.level, w.card, f, min((((a * c.bucket + b) & 4294967295) >> {32 - candidates.SIGNATURE_BITS})) AS m
         FROM ({cells_sql(stream, p)}) c JOIN ({windows_sql(cards_sql(net_sql(stream)), p)}) w ON c.set_id = w.set_id AND c.level = w.level,
@@ -176,8 +176,8 @@ add(
 )
 add(
     "dense_users",
-    lambda s, d: updates.dense_sets_only(expiry(1, 7)(s, d), 100, 0.2).select("set_id").distinct(),
-    f"""SELECT set_id FROM (SELECT set_id, sum(delta) OVER (PARTITION BY set_id ORDER BY ts, seq, item_id, delta DESC ROWS UNBOUNDED PRECEDING) AS now FROM ({expiry_sql(1, 7)}))
+    lambda s, d: updates.dense_sets_only(expiry(1, 15)(s, d), 100, 0.2).select("set_id").distinct(),
+    f"""SELECT set_id FROM (SELECT set_id, sum(delta) OVER (PARTITION BY set_id ORDER BY ts, seq, item_id, delta DESC ROWS UNBOUNDED PRECEDING) AS now FROM ({expiry_sql(1, 15)}))
         GROUP BY set_id HAVING avg(now) >= 20.0""",
 )
 
@@ -238,7 +238,12 @@ def banded(stream: Query, p: P.SketchParams, native: bool = True) -> Query:
 
 
 def found(stream: Query, p: P.SketchParams) -> Query:
-    return lambda s, d: candidates.candidates(banded(stream, p, native=False)(s, d), p.r1)
+    def of(s, d):
+        _, cards, c = parts(stream, p)(s, d)
+        held = candidates.occupied(c, candidates.level_windows(cards, p))
+        return candidates.candidates(candidates.hashed_bands(candidates.signatures_fast(held, p), p), p.r1)
+
+    return of
 
 
 def estimated(stream: Query, p: P.SketchParams) -> Query:

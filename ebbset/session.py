@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import tempfile
+import uuid
 import zipfile
 from pathlib import Path
 
@@ -11,6 +12,16 @@ from pyspark.sql import SparkSession
 _shipped: set[str] = set()
 
 
+def scratch(spark: SparkSession, name: str) -> str:
+    """A new path in the shared folder; one of our own only in local sessions that name none."""
+    found = spark.conf.get("spark.checkpoint.dir", None)
+    if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
+        found = f"file://{tempfile.mkdtemp(prefix='ebbset-')}"
+    return f"{found.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+
+
 def ship(spark: SparkSession) -> None:
     """Sends the package to the workers once per application."""
     app = spark.sparkContext.applicationId

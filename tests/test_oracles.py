@@ -1,9 +1,9 @@
 import pytest
 from conftest import SF
 
-from ebbset.plans import relational, workloads
+from ebbset.plans import extended, relational, workloads
 
-QUERIES, ORACLE = workloads.QUERIES | relational.QUERIES, workloads.ORACLE | relational.ORACLE
+QUERIES, ORACLE = workloads.QUERIES | relational.QUERIES | extended.QUERIES, workloads.ORACLE | relational.ORACLE | extended.ORACLE
 SLOW = {"similarity_histogram_customer_brands"}
 
 
