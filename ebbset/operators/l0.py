@@ -54,15 +54,17 @@ def sizes(pairs: DataFrame, sketch: DataFrame, p: SketchParams) -> DataFrame:
     return pairs.select(*by).join(union, by, "left").join(apart, by, "left").select(*by, F.coalesce("uni", F.lit(0.0)).alias("uni"), F.coalesce("symdiff", F.lit(0.0)).alias("symdiff"))
 
 
-def sketched_distance(pairs: DataFrame, sketch: DataFrame, universe: int, s: Similarity, p: SketchParams, root: float = 1.0) -> DataFrame:
-    """1 - S within 1 +- eps for metric similarities (and for Dice's, which isn't one); the similarity is additive only.
+def distance_of(uni, symdiff, universe: int, s: Similarity, root: float = 1.0):
+    """1 - S from the sizes of union and symmetric difference; root is the exponent of a root similarity."""
+    den = s.y * universe + (s.x - s.y) * uni + (s.zp - s.x) * symdiff
+    if s.y > s.x:  # by complements, whose symmetric difference is the same
+        inter = F.greatest(uni - symdiff, F.lit(0.0))
+        den = (s.y - s.x) * (universe - inter) + s.x * universe + (s.zp - s.y) * symdiff
+    plain = F.when(den <= 0, 0.0).otherwise(F.least(F.lit(1.0), (s.zp - s.z) * symdiff / den))
+    return F.pow(plain, F.lit(root))
+
 
-    root is the exponent of a root similarity.
-    """
+def sketched_distance(pairs: DataFrame, sketch: DataFrame, universe: int, s: Similarity, p: SketchParams, root: float = 1.0) -> DataFrame:
+    """1 - S within 1 +- eps for metric similarities (and for Dice's, which isn't one); the similarity is additive only."""
     z = sizes(pairs, sketch, p)
-    den = s.y * universe + (s.x - s.y) * F.col("uni") + (s.zp - s.x) * F.col("symdiff")
-    if s.y > s.x:  # by complements, whose symmetric difference is the same
-        inter = F.greatest((F.col("uni") - F.col("symdiff")), F.lit(0.0))
-        den = (s.y - s.x) * (universe - inter) + s.x * universe + (s.zp - s.y) * F.col("symdiff")
-    plain = F.when(den <= 0, 0.0).otherwise(F.least(F.lit(1.0), (s.zp - s.z) * F.col("symdiff") / den))
-    return z.select("left_id", "right_id", F.pow(plain, F.lit(root)).alias("distance"))
+    return z.select("left_id", "right_id", distance_of(F.col("uni"), F.col("symdiff"), universe, s, root).alias("distance"))

@@ -264,17 +264,17 @@ def _combined_sql(sign: int) -> str:
         UNION ALL SELECT left_id, right_id, rep, level, bucket, {sign} * cell FROM p JOIN c ON set_id = right_id) GROUP BY ALL HAVING {total} <> 0"""
 
 
-_size_ctes = f"""c AS ({W.l0_sql(SUP_SQL, L0, REPS)}), p AS (SELECT left_id, right_id FROM ({W.pairs_sql(W.net_sql(SUP_SQL))})),
+_size_ctes = f"""c AS ({W.l0_sql(LIVE_SQL, L0, REPS)}), p AS (SELECT left_id, right_id FROM ({W.pairs_sql(W.net_sql(LIVE_SQL))})),
     u AS ({_estimate_sql(_combined_sql(1), 'left_id, right_id')}), a AS ({_estimate_sql(_combined_sql(-1), 'left_id, right_id')}),
     z AS (SELECT left_id, right_id, coalesce(u.items, 0) AS uni, coalesce(a.items, 0) AS symdiff FROM p LEFT JOIN u USING (left_id, right_id) LEFT JOIN a USING (left_id, right_id))"""
 
 
 def _pairs_and_sketch(s, d):
-    stream = SUP(s, d)
+    stream = LIVE(s, d)
     return similarity.exact_pairs(updates.net_sets(stream)).select("left_id", "right_id"), l0.l0_cells(stream, L0, REPS)
 
 
-add("l0_cardinalities", lambda s, d: l0.l0_estimate(_pairs_and_sketch(s, d)[1], ["set_id"], L0).select("set_id", F.round("items", 4).alias("items")), f"SELECT set_id, round(items, 4) AS items FROM ({_estimate_sql(W.l0_sql(SUP_SQL, L0, REPS), 'set_id')})")
+add("l0_cardinalities", lambda s, d: l0.l0_estimate(_pairs_and_sketch(s, d)[1], ["set_id"], L0).select("set_id", F.round("items", 4).alias("items")), f"SELECT set_id, round(items, 4) AS items FROM ({_estimate_sql(W.l0_sql(LIVE_SQL, L0, REPS), 'set_id')})")
 
 
 def _sizes(s, d):
@@ -286,13 +286,13 @@ add("l0_sizes", _sizes, f"WITH {_size_ctes} SELECT left_id, right_id, round(uni,
 #: A similarity that weighs what neither set has more than what both have goes by complements.
 ABSENT = P.Similarity("absent", 0, 1, 0, 1)
 MEASURED = ((P.JACCARD, 1.0), (P.JACCARD, 0.5), (P.HAMMING, 1.0), (P.ANDERBERG, 1.0), (P.ROGERS_TANIMOTO, 1.0), (P.DICE, 1.0), (ABSENT, 1.0))
-UNIVERSE = 20_000
+UNIVERSE = 100
 
 
 def _distances(s, d):
     pairs, sk = _pairs_and_sketch(s, d)
-    one = lambda m, a: l0.sketched_distance(pairs, sk, UNIVERSE, m, L0, a).select("left_id", "right_id", F.lit(f"{m.name} {a}").alias("name"), F.round("distance", 5).alias("distance"))
-    return reduce(DataFrame.union, [one(m, a) for m, a in MEASURED])
+    one = lambda m, a: F.struct(F.lit(f"{m.name} {a}").alias("name"), F.round(l0.distance_of(F.col("uni"), F.col("symdiff"), UNIVERSE, m, a), 5).alias("distance"))
+    return l0.sizes(pairs, sk, L0).select("left_id", "right_id", F.inline(F.array(*[one(m, a) for m, a in MEASURED])))
 
 
 def _distance_sql(m: P.Similarity, a: float) -> str:
