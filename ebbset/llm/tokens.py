@@ -28,11 +28,11 @@ CACHE_PIECE, CACHE_SIZE = 256, 400_000
 def _classes() -> np.ndarray:
     """The class of each code point."""
     out = np.full(0x110000, OTHER, np.uint8)
-    every = "".join(map(chr, [*range(0xD800), *range(0xE000, 0x110000)]))
-    for number, pattern in ((LETTER, r"\p{L}+"), (NUMBER, r"\p{N}+"), (SPACE, r"\s+")):
-        for m in regex.finditer(pattern, every):
-            a, b = ord(m[0][0]), ord(m[0][-1])
-            out[a : b + 1] = number
+    for low in range(0, 0x110000, 1 << 12):  # by blocks, as a string of all takes much memory
+        block = "".join(chr(c) for c in range(low, low + (1 << 12)) if not 0xD800 <= c < 0xE000)
+        for number, pattern in ((LETTER, r"\p{L}+"), (NUMBER, r"\p{N}+"), (SPACE, r"\s+")):
+            for m in regex.finditer(pattern, block):
+                out[ord(m[0][0]) : ord(m[0][-1]) + 1] = number
     out[0xD800:0xE000] = OTHER
     return out
 
