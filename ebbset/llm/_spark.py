@@ -21,6 +21,8 @@ def shared_folder(spark: SparkSession) -> str:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
         found = held.get() if held.isDefined() else None
     if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         found = f"file://{tempfile.mkdtemp(prefix='ebbset-')}"
         spark.sparkContext.setCheckpointDir(found)
     return found.rstrip("/")
@@ -30,17 +32,27 @@ def new_path(spark: SparkSession, name: str) -> str:
     return f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
 
 
-def written(build: Callable[[], DataFrame], name: str, large: bool = False) -> DataFrame:
+BATCH = "spark.sql.execution.arrow.maxRecordsPerBatch"
+
+
+def written(build: Callable[[], DataFrame], name: str, large: bool = False, batch: int | None = None) -> DataFrame:
     """The rows of build() as a table written to the shared folder: cuts the lineage and outlives executors.
 
     What build() makes is referred to by nothing afterwards; large: it shuffles texts or more, whose files go at once.
+    batch: rows an Arrow batch, where rows are long; the session's setting comes back afterwards.
     """
 
     def run() -> tuple[SparkSession, StructType, str]:
         df = build()
-        path = new_path(df.sparkSession, name)
-        df.write.parquet(path)
-        return df.sparkSession, df.schema, path
+        session = df.sparkSession
+        path, before = new_path(session, name), session.conf.get(BATCH)
+        try:
+            if batch:
+                session.conf.set(BATCH, str(min(batch, int(before)) if int(before) > 0 else batch))
+            df.write.parquet(path)
+        finally:
+            session.conf.set(BATCH, before)
+        return session, df.schema, path
 
     spark, schema, path = run()
     if large:

@@ -37,6 +37,8 @@ WORDS = 300_000
 COMMON, CHUNK = 4 << 20, 1 << 20
 #: Words whose tokens are put together at a time (or those of one document).
 GATHER = 200_000
+#: Rows an Arrow batch, as rows hold whole texts' words.
+ROWS = 2000
 SLOTS = 1 << 16
 #: A token's character is its id plus this, past the surrogates from there on.
 FIRST, SURROGATES, GAP = 256, 0xD800, 2048
@@ -255,4 +257,5 @@ def _digests(batches):
 
 def digest(docs: DataFrame) -> DataFrame:
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return encode(docs).mapInArrow(_digests, f"doc_id {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    shape = f"doc_id {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string"
+    return written(lambda: encode(docs).mapInArrow(_digests, shape), "digests", batch=ROWS)
