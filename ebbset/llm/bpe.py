@@ -144,7 +144,7 @@ def common(docs: DataFrame, ranks: dict[bytes, int], most: int = COMMON) -> pa.T
 def _numbered(batches, words, most: int):
     """Each row's words as numbers, with the words that neither the common ones nor a row before it have; `anew` where
     the numbers begin after the common ones again."""
-    fixed = words.value[0]
+    fixed = words.value
     known, anew = fixed, True
     for batch in batches:
         for part in pieces(batch, most=CHUNK):
@@ -194,9 +194,9 @@ class _Words:
 def _joined(batches, words):
     """Ids of each row and the bytes they decode to, from the common words and those seen so far."""
     ids, texts = _Words(np.int32), _Words(np.uint8)
-    fixed = words.value
-    ids.add(fixed[1], fixed[2])
-    texts.add(fixed[3], fixed[4])
+    sizes, flat, lengths, raws = words.value
+    ids.add(sizes, flat)
+    texts.add(lengths, raws)
     for batch in batches:
         cut = np.flatnonzero(np.asarray(batch.column("anew")))
         for a, b in zip([0, *cut.tolist()], [*cut.tolist(), len(batch)], strict=True):
@@ -204,8 +204,8 @@ def _joined(batches, words):
                 continue
             part = batch.slice(a, b - a)
             if part.column("anew")[0].as_py():
-                ids.cut(len(fixed[1]))
-                texts.cut(len(fixed[1]))
+                ids.cut(len(sizes))
+                texts.cut(len(sizes))
             lists, raw = part.column("ids").flatten(), part.column("texts").flatten()
             ids.add(np.asarray(pc.list_value_length(lists), np.int64), np.asarray(lists.flatten()))
             texts.add(np.asarray(pc.binary_length(raw), np.int64), np.frombuffer(b"".join(raw.to_pylist()), np.uint8))
@@ -234,12 +234,12 @@ def encode(docs: DataFrame, path: str | None = None, words: int = WORDS, most: i
     table = common(docs, ranks, most).combine_chunks()
     word, lists, texts = (pa.concat_arrays(table.column(c).chunks) if table.num_rows else None for c in ("word", "ids", "texts"))
     none = np.zeros(0, np.int64), np.zeros(0, np.int32), np.zeros(0, np.int64), np.zeros(0, np.uint8)
-    held = (pa.array([], pa.binary()), *none)
+    held = pa.array([], pa.binary()), none
     if word is not None:
         sizes = np.asarray(lists.value_lengths(), np.int64), np.asarray(pc.binary_length(texts), np.int64)
-        held = (word.cast(pa.binary()), sizes[0], np.asarray(lists.flatten()).astype(np.int32), sizes[1], np.frombuffer(b"".join(texts.to_pylist()), np.uint8))
-    shared = docs.sparkSession.sparkContext.broadcast(held)
-    rows = _plain(docs).mapInArrow(partial(_numbered, words=shared, most=words), f"doc_id {kind}, codes array<int>, fresh array<binary>, anew boolean")
+        held = word.cast(pa.binary()), (sizes[0], np.asarray(lists.flatten()).astype(np.int32), sizes[1], np.frombuffer(b"".join(texts.to_pylist()), np.uint8))
+    names, shared = map(docs.sparkSession.sparkContext.broadcast, held)
+    rows = _plain(docs).mapInArrow(partial(_numbered, words=names, most=words), f"doc_id {kind}, codes array<int>, fresh array<binary>, anew boolean")
     rows = rows.select("doc_id", "codes", "anew", F.transform("fresh", lambda w: tokens_of(merges(w, ranks))).alias("ids"))
     rows = rows.select("doc_id", "codes", "anew", "ids", F.transform("ids", lambda i: decoded(i, ranks)).alias("texts"))
     return rows.mapInArrow(partial(_joined, words=shared), f"doc_id {kind}, ids array<int>, decoded binary")
