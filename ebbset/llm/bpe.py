@@ -24,6 +24,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 import xxhash
+from pyspark import Broadcast
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -227,8 +228,8 @@ def _gathered(part: pa.RecordBatch, ids: _Words, texts: _Words) -> pa.RecordBatc
     return pa.RecordBatch.from_arrays([part.column("doc_id"), list_array(found, ends, pa.int32()), raw], ["doc_id", "ids", "decoded"])
 
 
-def encode(docs: DataFrame, path: str | None = None, words: int = WORDS, most: int = COMMON) -> DataFrame:
-    """doc_id, ids (array) and decoded (binary) of each row. path: the file of ranks."""
+def _folded(docs: DataFrame, path: str | None, words: int, most: int) -> tuple[DataFrame, Broadcast]:
+    """Rows of word numbers with the folded words that each adds, and the common words' tokens."""
     ranks = byte_ranks(path or vocabulary("byte_bpe_50k.tiktoken"))
     kind = docs.schema["doc_id"].dataType.simpleString()
     table = common(docs, ranks, most).combine_chunks()
@@ -241,12 +242,19 @@ def encode(docs: DataFrame, path: str | None = None, words: int = WORDS, most: i
     names, shared = map(docs.sparkSession.sparkContext.broadcast, held)
     rows = _plain(docs).mapInArrow(partial(_numbered, words=names, most=words), f"doc_id {kind}, codes array<int>, fresh array<binary>, anew boolean")
     rows = rows.select("doc_id", "codes", "anew", F.transform("fresh", lambda w: tokens_of(merges(w, ranks))).alias("ids"))
-    rows = rows.select("doc_id", "codes", "anew", "ids", F.transform("ids", lambda i: decoded(i, ranks)).alias("texts"))
+    return rows.select("doc_id", "codes", "anew", "ids", F.transform("ids", lambda i: decoded(i, ranks)).alias("texts")), shared
+
+
+def encode(docs: DataFrame, path: str | None = None, words: int = WORDS, most: int = COMMON) -> DataFrame:
+    """doc_id, ids (array) and decoded (binary) of each row. path: the file of ranks."""
+    rows, shared = _folded(docs, path, words, most)
+    kind = docs.schema["doc_id"].dataType.simpleString()
     return rows.mapInArrow(partial(_joined, words=shared), f"doc_id {kind}, ids array<int>, decoded binary")
 
 
-def _digests(batches):
-    for batch in batches:
+def _digests(batches, words):
+    """Sums of what _joined gives, in the same Python process, so that ids and bytes don't pass through Spark again."""
+    for batch in _joined(batches, words):
         ids = batch.column("ids")
         at, flat = np.asarray(ids.offsets), np.asarray(ids.values).astype("<u4")
         sums = [hashlib.sha256(flat[a:b].tobytes()).hexdigest() for a, b in zip(at[:-1], at[1:], strict=True)]
@@ -258,4 +266,9 @@ def _digests(batches):
 def digest(docs: DataFrame) -> DataFrame:
     kind = docs.schema["doc_id"].dataType.simpleString()
     shape = f"doc_id {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string"
-    return written(lambda: encode(docs).mapInArrow(_digests, shape), "digests", batch=ROWS)
+
+    def build() -> DataFrame:
+        rows, shared = _folded(docs, None, WORDS, COMMON)
+        return rows.mapInArrow(partial(_digests, words=shared), shape)
+
+    return written(build, "digests", batch=ROWS)
