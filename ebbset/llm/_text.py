@@ -13,6 +13,8 @@ import pyarrow as pa
 import pyarrow.compute as pc
 
 CHUNK_BYTES = 4 << 20
+#: Words hashed at a time, few enough for their bytes' terms to stay in a processor's cache.
+BLOCK = 1 << 14
 U = np.uint64
 
 _rng = np.random.Generator(np.random.PCG64(20240517))
@@ -85,10 +87,15 @@ def word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, table: n
     power = np.ones(int(sizes.max()), np.uint64)
     power[1:] = STEP
     np.multiply.accumulate(power, out=power)
-    first = np.concatenate([[0], np.cumsum(sizes)[:-1]])
-    place = np.arange(int(sizes.sum()), dtype=np.int64) - np.repeat(first, sizes)
-    terms = table[data[place + np.repeat(starts, sizes)]] * power[place]
-    return mix(np.add.reduceat(terms, first) + sizes.astype(np.uint64))
+    out = np.empty(len(starts), np.uint64)
+    for lo in range(0, len(starts), BLOCK):
+        own = sizes[lo : lo + BLOCK]
+        first = np.cumsum(own) - own
+        place = np.arange(int(first[-1] + own[-1]), dtype=np.int64) - np.repeat(first, own)
+        terms = table[data[place + np.repeat(starts[lo : lo + BLOCK], own)]]
+        terms *= power[place]
+        out[lo : lo + BLOCK] = np.add.reduceat(terms, first)
+    return mix(out + sizes.astype(np.uint64))
 
 
 def shingle_hashes(words: np.ndarray, first_word: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray]:
