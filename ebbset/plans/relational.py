@@ -185,7 +185,8 @@ def win_running(s, d):
 @query("win_range_7d", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY epoch(ts)::BIGINT RANGE BETWEEN 604800 PRECEDING AND CURRENT ROW) AS recent FROM events")
 def win_range(s, d):
     w = Window.partitionBy("user_id").orderBy("sec").rangeBetween(-604800, 0)
-    e = table(s, d, "events").withColumn("sec", F.unix_seconds(F.col("ts").cast("timestamp")))
+    # whole seconds by rounding (halves to even), as the SQL's cast has it
+    e = table(s, d, "events").withColumn("sec", F.rint(F.unix_micros(F.col("ts").cast("timestamp")) / 1e6).cast("long"))
     return e.select("event_id", F.count("*").over(w).alias("recent"))
 
 
